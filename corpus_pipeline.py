@@ -1,13 +1,87 @@
-"""Corpus pipeline: stages applied in order to documents."""
+"""Corpus pipeline: quality rules, near-duplicates, repeated passages, mixing, tokens.
+
+Each stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; each is
+written as Parquet and read again before the next. All but the last return the columns of
+documents.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from rasterchain.llm.common import checkpoint, ensure_checkpoint_dir
+from rasterchain.llm.mixing import sampled
+from rasterchain.llm.quality import quality_rules
+from rasterchain.llm.sentencepiece_codec import model_bytes, token_digests
+from rasterchain.llm.simhash import simhash_groups
+from rasterchain.llm.suffix_dedup import remove_repeats
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that pass the base rules and the fences of their language and source."""
+    return quality_rules(docs).where("kept").select(*docs.columns)
+
+
+def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates stays: the one that names the group.
+
+    Rows with a null id stay only if their whole group has none. Of rows that repeat the id
+    of the document that stays, one stays.
+    """
+    named = simhash_groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.min("fp").alias("_fp")).withColumnRenamed("doc_id", "_id")
+    kept = docs.join(named, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+    return _one_row_each(kept, docs.columns)
+
+
+def _one_row_each(docs: DataFrame, columns: list[str]) -> DataFrame:
+    """The rows of docs; of rows with the same id, the one with the least text hash. Repeats are looked for in a small table."""
+    hashed = docs.withColumn("_h", F.xxhash64(*[F.col(c) for c in columns]))
+    repeats = checkpoint(hashed.groupBy("doc_id").agg(F.count("*").alias("n"), F.min("_h").alias("low")).where("n > 1").select(F.col("doc_id").alias("_id"), "low"))
+    single = docs.join(repeats, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+    several = hashed.join(repeats, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("low"))).dropDuplicates(["_h"])
+    return single.select(*columns).unionByName(several.select(*columns))
+
+
+def passage_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the strings of 200 bytes that also start elsewhere; n_chars is counted anew."""
+    rest = [c for c in docs.columns if c not in ("doc_id", "text", "n_chars")]
+    cut = remove_repeats(docs, carry=tuple(rest)).withColumnRenamed("kept_text", "text")
+    return cut.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+
+
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix takes it."""
+    return sampled(docs)
+
+
+def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Digests of the token ids and of the decoded text of every row of the mix."""
+    return token_digests(docs, model_bytes())
+
+
+STAGES = [
+    ("quality rules", quality_stage),
+    ("SimHash near-dedup", near_duplicate_stage),
+    ("suffix-array dedup", passage_stage),
+    ("mixing to target weights", mixing_stage),
+    ("SentencePiece encoding and decoding", token_stage),
+]
+
+#: Fingerprints and token ids have no SQL; the stages are tested against brute force.
 ORACLE_SQL: str | None = None
 
 
-def run(spark, sf_dir: str):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages on documents; each stage is written to the shared folder and read again."""
+    import uuid
+
+    ensure_checkpoint_dir(spark)
+    base = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if k + 1 < len(STAGES):
+            docs.write.parquet(f"{base}/{k}")
+            docs = spark.read.parquet(f"{base}/{k}")
     return docs
