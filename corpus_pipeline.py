@@ -18,9 +18,14 @@ from rasterchain.llm.simhash import simhash_groups
 from rasterchain.llm.suffix_dedup import remove_repeats
 
 
+def _wrapped(docs: DataFrame, *needed: str) -> DataFrame:
+    """The whole row beside the columns that an operator reads, so that no other name can clash with its own."""
+    return docs.select(F.struct(*[F.col(c) for c in docs.columns]).alias("_row"), *needed)
+
+
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass the base rules and the fences of their language and source."""
-    return quality_rules(docs).where("kept").select(*docs.columns)
+    return quality_rules(_wrapped(docs, "text", "lang", "source")).where("kept").select("_row.*")
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,7 +57,7 @@ def passage_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it."""
-    return sampled(docs)
+    return sampled(_wrapped(docs, "doc_id", "text", "source")).select("_row.*")
 
 
 def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from rasterchain.llm.html_extract import op9_html_extraction
 from rasterchain.llm.mixing import OP8_SQL, op8_mixing
+from rasterchain.llm.multi_index import OP1_SQL, op1_embedding_dedup
 from rasterchain.llm.quality import OP3_SQL, op3_quality
 from rasterchain.llm.sentencepiece_codec import op4_sentencepiece
 from rasterchain.llm.simhash import op7_simhash
@@ -11,6 +12,7 @@ from rasterchain.llm.suffix_dedup import op6_suffix_dedup
 from rasterchain.llm.url_filter import OP2_SQL, op2_url_filter
 
 QUERIES = {
+    "op1_embedding_dedup": op1_embedding_dedup,
     "op2_url_filter": op2_url_filter,
     "op3_quality": op3_quality,
     "op4_sentencepiece": op4_sentencepiece,
@@ -19,4 +21,4 @@ QUERIES = {
     "op8_mixing": op8_mixing,
     "op9_html_extraction": op9_html_extraction,
 }
-ORACLES: dict[str, str] = {"op2_url_filter": OP2_SQL, "op3_quality": OP3_SQL, "op8_mixing": OP8_SQL}
+ORACLES: dict[str, str] = {"op1_embedding_dedup": OP1_SQL, "op2_url_filter": OP2_SQL, "op3_quality": OP3_SQL, "op8_mixing": OP8_SQL}
