@@ -264,3 +264,10 @@ def _by_label(spark, d) -> DataFrame:
 
 
 add("spectrum_by_label", _by_label, f"select quality, s, round(avg(ps), 4) avg_ps from {spectrum(S['ink'], 3)} join labels on img = doc_id group by all")
+
+# --- operations around the filters ---------------------------------------------------------
+
+from rasterchain import relational  # noqa: E402
+
+QUERIES |= relational.QUERIES
+ORACLES |= relational.ORACLES
