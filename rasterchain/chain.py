@@ -105,8 +105,17 @@ def apply(a: np.ndarray, f: FilterSpec, mask: np.ndarray | None = None) -> np.nd
 
 
 def run(a: np.ndarray, chain: Chain, mask: np.ndarray | None = None) -> np.ndarray:
-    for f in chain.filters:
-        a = apply(a, f, mask)
+    k = 0
+    while k < len(chain.filters):
+        f, n = chain.filters[k], 1
+        while k + n < len(chain.filters) and chain.filters[k + n] == f:
+            n += 1
+        if f.kind in ("MIN3", "MAX3") and a.ndim == 2:
+            a = K.chain3(a, n, K.MIN if f.kind == "MIN3" else K.MAX)
+        else:
+            for _ in range(n):
+                a = apply(a, f, mask)
+        k += n
     return a
 
 

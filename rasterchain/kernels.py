@@ -43,6 +43,40 @@ def sep3(a: np.ndarray, lo=MIN, order: str = "xy") -> np.ndarray:
     return a
 
 
+def chain3(a: np.ndarray, n: int, lo=MIN, block_rows: int = 128, together: int = 16) -> np.ndarray:
+    """n filters of 3x3 in a row. Blocks of rows that stay in the cache take some filters together before the next block.
+
+    A block is read with as many rows on each side as filters run on it, so its own rows are exact.
+    """
+    h, w = a.shape
+    if n == 0 or not a.size:
+        return a.copy()
+    cur, nxt = a.copy(), np.empty_like(a)
+    size = (min(h, block_rows + 2 * together), w)
+    u, t = np.empty(size, a.dtype), np.empty(size, a.dtype)
+    done = 0
+    while done < n:
+        k = min(together, n - done)
+        for y in range(0, h, block_rows):
+            top, bottom = max(0, y - k), min(h, y + block_rows + k)
+            m = bottom - top
+            p, q = u[:m], t[:m]
+            p[...] = cur[top:bottom]
+            for _ in range(k):
+                if w > 1:  # pairs, then pairs of pairs; the frame clips
+                    lo(p[:, :-1], p[:, 1:], out=q[:, :-1])
+                    p[:, 0], p[:, -1] = q[:, 0], q[:, w - 2]
+                    lo(q[:, : w - 2], q[:, 1 : w - 1], out=p[:, 1:-1])
+                if m > 1:
+                    lo(p[:-1], p[1:], out=q[:-1])
+                    p[0], p[-1] = q[0], q[m - 2]
+                    lo(q[: m - 2], q[1 : m - 1], out=p[1:-1])
+            nxt[y : y + block_rows] = p[y - top : y - top + block_rows]
+        cur, nxt = nxt, cur
+        done += k
+    return cur
+
+
 def direct(a: np.ndarray, s: int, lo=MIN) -> np.ndarray:
     """Every value of the window compared."""
     fill = neutral(a.dtype, lo)
@@ -176,9 +210,7 @@ def filtered(a: np.ndarray, s: int, lo=MIN, method: str = "auto") -> np.ndarray:
         # measured on arrays of these types: chains win up to a few filters only
         method = "chain" if s <= 2 else "prefix_suffix"
     if method == "chain":
-        for _ in range(s):
-            a = sep3(a, lo)
-        return a
+        return chain3(a, s, lo)
     return {"direct": direct, "segments": segments, "prefix_suffix": prefix_suffix, "queue": queue}[method](a, s, lo)
 
 
