@@ -5,11 +5,10 @@ from pathlib import Path
 import pytest
 
 ROOT = Path(__file__).resolve().parent.parent
-sys.path.insert(0, str(ROOT))
+sys.path[:0] = [str(ROOT), str(ROOT / "tests")]
 os.environ["PYTHONPATH"] = f"{ROOT}:{os.environ.get('PYTHONPATH', '')}"
 
-DATA = "/root/testdata/sf0.001"
-TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
+from helpers import DATA, TABLES  # noqa: E402
 
 
 @pytest.fixture(scope="session")
@@ -31,12 +30,3 @@ def duck():
     for t in TABLES:
         con.execute(f"create view {t} as select * from '{DATA}/{t}.parquet'")
     return con
-
-
-def same(a, b) -> bool:
-    """Frames equal as bags of rows, columns by name."""
-    columns = sorted(a.columns)
-    if columns != sorted(b.columns) or len(a) != len(b):
-        return False
-    a, b = (x[columns].sort_values(columns).reset_index(drop=True) for x in (a, b))
-    return all((a[c].astype(object).where(a[c].notna(), None) == b[c].astype(object).where(b[c].notna(), None)).eq(True).all() or (a[c].isna() == b[c].isna()).all() and (a[c].dropna().to_numpy() == b[c].dropna().to_numpy()).all() for c in columns)

@@ -1,6 +1,6 @@
 import pytest
 
-from conftest import DATA, same
+from helpers import DATA, same
 from rasterchain import workloads
 
 #: Slow on whole documents; their operators are covered by others on smaller rasters.
