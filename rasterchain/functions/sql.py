@@ -9,18 +9,24 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, StructType
 
 from rasterchain import kernels as K
 from rasterchain.chain import Chain, run
 
+# types, not strings: those are parsed by a session, which may not run yet
+LONGS = ArrayType(LongType())
+PIXEL = StructType([StructField("img", LongType()), StructField("y", IntegerType()), StructField("x", IntegerType()), StructField("v", LongType())])
+OFFSET = StructType([StructField("dy", IntegerType()), StructField("dx", IntegerType())])
 
-@pandas_udf("array<bigint>")
+
+@pandas_udf(LONGS)
 def rc_row_min3(rows: pd.Series) -> pd.Series:
     """The horizontal filter of a row."""
     return rows.map(lambda r: None if r is None else K.row3(np.asarray(r, np.int64), K.MIN, -1))
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(LONGS)
 def rc_granulometry(y: pd.Series, x: pd.Series, v: pd.Series, s_max: pd.Series) -> list:
     """Aggregate over the pixels of an image: sums of openings of sizes 0 to s_max."""
     a = np.zeros((int(y.max()) + 1, int(x.max()) + 1), np.int64)
@@ -28,7 +34,7 @@ def rc_granulometry(y: pd.Series, x: pd.Series, v: pd.Series, s_max: pd.Series)
     return K.granulometry(a, int(s_max.iloc[0]))
 
 
-@udtf(returnType="img bigint, y int, x int, v bigint")
+@udtf(returnType=PIXEL)
 class RcChain:
     """rc_chain(chain, TABLE(pixels) PARTITION BY img): runs a chain, given as JSON, on each image."""
 
@@ -51,7 +57,7 @@ class RcChain:
             yield img, int(j), int(i), int(value)
 
 
-@udtf(returnType="dy int, dx int")
+@udtf(returnType=OFFSET)
 class RcOffsets:
     """rc_offsets(s): the places of the square of side 2s + 1."""
 
