@@ -83,7 +83,8 @@ def ship_by_region(spark, d) -> DataFrame:
 def price_cells(spark, d) -> DataFrame:
     li = table(spark, d, "lineitem")
     img = F.when(F.col("l_returnflag") == "A", 0).when(F.col("l_returnflag") == "N", 1).otherwise(2)
-    return pixels(li, img, "round(l_discount * 100)", "cast(l_quantity as int) - 1", "l_extendedprice", "double").groupBy("img", "y", "x").agg(F.max("v").alias("v"))
+    cells = pixels(li, img, "round(l_discount * 100)", "cast(l_quantity as int) - 1", "l_extendedprice", "double").groupBy("img", "y", "x").agg(F.max("v").alias("v"))
+    return densify(cells, _frame(cells, F.lit(11), F.lit(50)), 0.0)
 
 
 def event_heat(spark, d) -> DataFrame:
@@ -205,7 +206,7 @@ SQL: dict[str, str] = {
     "ship_density": _dense_sql(f"select 0::bigint img, l_quantity::int - 1 y, {_LI}::int x, count(*) v from lineitem group by all", "50", "max(x) + 1"),
     "ship_weekly": _dense_sql(f"select 0::bigint img, l_quantity::int - 1 y, ({_LI} // 7)::int x, count(*) v from lineitem group by all", "50", "max(x) + 1"),
     "ship_by_region": _dense_sql(f"select r_regionkey::bigint img, l_quantity::int - 1 y, ({_MONTH})::int x, count(*) v from lineitem join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by all", "50", "83"),
-    "price_cells": "(select case l_returnflag when 'A' then 0 when 'N' then 1 else 2 end::bigint img, round(l_discount * 100)::int y, l_quantity::int - 1 x, max(l_extendedprice) v from lineitem group by all)",
+    "price_cells": _dense_sql("select case l_returnflag when 'A' then 0 when 'N' then 1 else 2 end::bigint img, round(l_discount * 100)::int y, l_quantity::int - 1 x, max(l_extendedprice) v from lineitem group by all", "11", "50", "0.0"),
     "event_heat": _dense_sql(f"select 0::bigint img, user_id::int y, {_HOUR}::int x, count(*) v from events group by all", "max(y) + 1", "720"),
     "event_value": _dense_sql(f"select 0::bigint img, user_id::int y, {_HOUR}::int x, sum(round(value * 100)::bigint)::bigint v from events group by all", "max(y) + 1", "720"),
     "order_surface": _SURFACE,
