@@ -56,16 +56,19 @@ def measured(docs: DataFrame, text_col: str = "text") -> DataFrame:
     out = out.withColumn("_p", F.expr("""case when size(_d) = 0 then cast(array() as array<int>)
         when size(_d) <= 24 then filter(transform(_t, (x, i) -> if(array_contains(_d, x), i, -1)), i -> i >= 0)
         else sort_array(transform(filter(_b, (b, j) -> (j > 0 and _b[j - 1].h = b.h) or (j + 1 < size(_b) and get(_b, j + 1).h = b.h)), b -> b.p)) end"""))
-    out = out.withColumns({
-        "n_words": F.size("_w").cast("long"),
+    n_words, n_repeat = F.size("_w").cast("long"), F.expr("aggregate(_p, named_struct('n', 0L, 'z', -3), (a, p) -> named_struct('n', a.n + least(3, p - a.z), 'z', p), a -> a.n)")
+    found = {
+        "n_words": n_words,
         "word_chars": F.length(F.regexp_replace(text, r"[\x20\x09-\x0D]+", "")).cast("long"),
         "n_symbols": (F.length(text) - F.length(F.regexp_replace(text, SYMBOLS, ""))).cast("long"),
         "n_dup_lines": (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long"),
+        "n_repeat_words": n_repeat,
         "n_lines": F.size("_l").cast("long"),
-        "n_repeat_words": F.expr("aggregate(_p, named_struct('n', 0L, 'z', -3), (a, p) -> named_struct('n', a.n + least(3, p - a.z), 'z', p), a -> a.n)"),
-    })
-    failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
-    return out.withColumn("base_failed", failed).drop("_w", "_l", "_t", "_s", "_d", "_b", "_p")
+    }
+    # made by a generator, through which no filter on the measures is pushed: pushed down, it would measure again for each use
+    out = out.withColumn("_m", F.explode(F.array(F.struct(*[e.alias(c) for c, e in found.items()]))))
+    failed = (F.col("_m.n_words") < MIN_WORDS) | (100 * F.col("_m.n_repeat_words") > MAX_REPEAT_PERCENT * F.col("_m.n_words"))
+    return out.withColumns({c: F.col(f"_m.{c}") for c in found} | {"base_failed": failed}).drop("_w", "_l", "_t", "_s", "_d", "_b", "_p", "_m")
 
 
 def _value(expression: str) -> Column:
@@ -119,7 +122,7 @@ def fences(sketch: DataFrame, spread: float = 3.0) -> DataFrame:
 def judged(signals: DataFrame, limits: DataFrame, lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """signals with kept: false if base_failed, else true if every signal lies within the fences of its group."""
     bounds = [f"{side}_{name}" for name, _, _ in SIGNALS for side in ("lo", "hi")]
-    own = limits.where("not everywhere").select(F.col("lang").alias("_lang"), F.col("source").alias("_source"), F.struct(*bounds).alias("_own"))
+    own = limits.where("not everywhere").select(F.col("lang").alias("_lang"), F.col("source").alias("_source"), F.struct(*bounds).alias("_own", "_all"))
     whole = limits.where("everywhere").select(F.struct(*bounds).alias("_all"))  # one row at most
     out = signals.join(broadcast_if_small(own), F.col(lang_col).eqNullSafe(F.col("_lang")) & F.col(source_col).eqNullSafe(F.col("_source")), "left").join(F.broadcast(whole), F.lit(True), "left")
     inside = F.lit(True)
