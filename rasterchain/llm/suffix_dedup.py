@@ -295,9 +295,10 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     plain = around.where("hot is null and there").select("h", "ctx", "k1", "k2", "pos", "flag", F.col("before").cast("int"), "around")
     partly = plain.repartition("h").sortWithinPartitions("h", "ctx").mapInArrow(_compare(window, reach), SPANS)
 
-    windows = around.where("hot and there").dropDuplicates(["h", "ctx"]).select("k1", "k2", "pos", "before", "around", F.explode(F.expr(f"sequence(0, {reach})")).alias("o")).where(f"o <= before and length(around) >= before - o + {window}")
+    windows = around.where("hot and there").dropDuplicates(["h", "ctx"]).select("h", "k1", "k2", "pos", "before", "around", F.explode(F.expr(f"sequence(0, {reach})")).alias("o")).where(f"o <= before and length(around) >= before - o + {window}")
+    # equal windows have their anchor at the same offset; a place met from two anchors is not a repeat of itself
     part = F.expr(f"substring(around, cast(before - o + 1 as int), {window})")
-    counted = windows.select(F.lit(ANCHOR).cast("byte").alias("kind"), F.xxhash64(part).alias("h"), F.xxhash64(F.lit(11), part).alias("ctx"), "k1", "k2", (F.col("pos") - F.col("o")).alias("pos"), F.lit(False).alias("flag"))
+    counted = windows.select(F.lit(ANCHOR).cast("byte").alias("kind"), F.xxhash64("h", "o", part).alias("h"), F.xxhash64(F.lit(11), "h", "o", part).alias("ctx"), "k1", "k2", (F.col("pos") - F.col("o")).alias("pos"), F.lit(False).alias("flag"))
     many = counted.repartition("h").sortWithinPartitions("h", "ctx").mapInArrow(_meet, ROWS).where(F.col("kind") == WHOLE).select("k1", "k2", F.col("pos").alias("lo"), (F.col("pos") + window).alias("hi"))
 
     whole = met.where(F.col("kind") == WHOLE).select("k1", "k2", (F.col("pos") - reach).alias("lo"), (F.col("pos") + window).alias("hi"))
