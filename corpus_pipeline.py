@@ -29,23 +29,19 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays: the one that names the group.
+    """One document of each group of near-duplicates stays: the one with the smallest id.
 
-    Rows with a null id stay only if their whole group has none. Of rows that repeat the id
-    of the document that stays, one stays.
+    A row with a null id stays only if its whole group has none. Of rows with one id, the
+    least hash of the text decides; of rows that repeat id and text, one stays.
     """
-    named = simhash_groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.min("fp").alias("_fp")).withColumnRenamed("doc_id", "_id")
-    kept = docs.join(named, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
-    return _one_row_each(kept, docs.columns)
-
-
-def _one_row_each(docs: DataFrame, columns: list[str]) -> DataFrame:
-    """The rows of docs; of rows with the same id, the one with the least text hash. Repeats are looked for in a small table."""
-    hashed = docs.withColumn("_h", F.xxhash64(*[F.col(c) for c in columns]))
-    repeats = checkpoint(hashed.groupBy("doc_id").agg(F.count("*").alias("n"), F.min("_h").alias("low")).where("n > 1").select(F.col("doc_id").alias("_id"), "low"))
-    single = docs.join(repeats, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
-    several = hashed.join(repeats, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("low"))).dropDuplicates(["_h"])
-    return single.select(*columns).unionByName(several.select(*columns))
+    # ordered as the groups' smallest ids are: rows without an id come last
+    key = F.struct(F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("d"), F.xxhash64("text").alias("t"))
+    keyed = docs.select(F.struct(*[F.col(c) for c in docs.columns]).alias("_row"), "text", key.alias("_key"))
+    named = checkpoint(simhash_groups(keyed, id_col="_key").where(F.col("_key") == F.col("component_id")).groupBy(F.col("_key").alias("_of")).agg(F.count("*").alias("_n")))
+    kept = keyed.join(named, F.col("_key") == F.col("_of"))
+    several = kept.where("_n > 1").withColumn("_h", F.xxhash64("_row"))
+    least = several.groupBy("_key").agg(F.min_by("_row", "_h").alias("_row"))
+    return kept.where("_n = 1").select("_row.*").unionByName(least.select("_row.*"))
 
 
 def passage_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
