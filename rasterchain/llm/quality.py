@@ -122,15 +122,15 @@ def fences(sketch: DataFrame, spread: float = 3.0) -> DataFrame:
 def judged(signals: DataFrame, limits: DataFrame, lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """signals with kept: false if base_failed, else true if every signal lies within the fences of its group."""
     bounds = [f"{side}_{name}" for name, _, _ in SIGNALS for side in ("lo", "hi")]
-    own = limits.where("not everywhere").select(F.col("lang").alias("_lang"), F.col("source").alias("_source"), F.struct(*bounds).alias("_own", "_all"))
-    whole = limits.where("everywhere").select(F.struct(*bounds).alias("_all"))  # one row at most
-    out = signals.join(broadcast_if_small(own), F.col(lang_col).eqNullSafe(F.col("_lang")) & F.col(source_col).eqNullSafe(F.col("_source")), "left").join(F.broadcast(whole), F.lit(True), "left")
+    own = limits.where("not everywhere").select(F.col("lang").alias("_lang"), F.col("source").alias("_source"), F.struct(*bounds).alias("_own"))
+    whole = limits.where("everywhere").first()  # one row, or none if no text passes the base rules
+    out = signals.join(broadcast_if_small(own), F.col(lang_col).eqNullSafe(F.col("_lang")) & F.col(source_col).eqNullSafe(F.col("_source")), "left")
     inside = F.lit(True)
     for name, e, _ in SIGNALS:
-        lo, hi = (F.coalesce(F.col(f"_own.{side}_{name}"), F.col(f"_all.{side}_{name}")) for side in ("lo", "hi"))
+        lo, hi = (F.coalesce(F.col(f"_own.{side}_{name}"), F.lit(whole and whole[f"{side}_{name}"]).cast("double")) for side in ("lo", "hi"))
         # a sketch's estimate may be off by the bucket's width
         inside = inside & F.coalesce((_value(e) >= lo / GAMMA) & (_value(e) <= hi * GAMMA), F.lit(True))
-    return out.withColumn("kept", ~F.col("base_failed") & inside).drop("_lang", "_source", "_own", "_all")
+    return out.withColumn("kept", ~F.col("base_failed") & inside).drop("_lang", "_source", "_own")
 
 
 def quality_rules(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source", spread: float = 3.0) -> DataFrame:

@@ -61,13 +61,14 @@ def filter_urls(pages: DataFrame, rules: DataFrame, url_col: str = "url", defaul
     keep = [c for c in pages.columns if c not in ("host", "path", "rule", "verdict")]
     digest = F.sha2(F.concat("host", F.lit("\n"), "path"), 256)
     known = checkpoint(rules.where("host is not null and host != '' and path is not null and verdict is not null").groupBy("host", "path").agg(F.max(F.struct((F.col("verdict") == "block").alias("b"), F.col("verdict"))).getField("verdict").alias("of")).withColumns({"digest": digest, "short": F.substring(digest, 1, SHORT)}))
-    lengths = checkpoint(known.agg(F.coalesce(F.sort_array(F.collect_set(F.length("path"))), F.array().cast("array<int>")).alias("lengths")))
+    # as many as there are different lengths, not rules
+    lengths = [r["n"] for r in known.select(F.length("path").alias("n")).distinct().orderBy("n").collect()]
     rows = pages.select(F.struct(*[F.col(c) for c in keep]).alias("row"), F.coalesce(F.col(url_col), F.lit("")).alias("url")).select("row", url_host(F.col("url")).alias("host"), url_path(F.col("url")).alias("path"))
     # a row of its own number: repeated pages stay apart
-    rows = rows.withColumn("n", F.monotonically_increasing_id()).join(F.broadcast(lengths))
+    rows = rows.withColumn("n", F.monotonically_increasing_id())
     labels = F.split("host", r"\.")
     hosts = F.when(F.col("host") == "", F.array().cast("array<string>")).otherwise(F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), ".")))
-    paths = F.transform(F.filter("lengths", lambda x: x <= F.length("path")), lambda x: F.substring("path", F.lit(1), x))
+    paths = F.transform(F.filter(F.array(*[F.lit(n) for n in lengths]).cast("array<int>"), lambda x: x <= F.length("path")), lambda x: F.substring("path", F.lit(1), x))
     both = F.flatten(F.transform(hosts, lambda h: F.transform(paths, lambda p: F.struct(h.alias("host"), p.alias("path")))))
     each = rows.select("n", F.explode_outer(both).alias("x")).select("n", F.sha2(F.concat("x.host", F.lit("\n"), "x.path"), 256).alias("full"))
     short = each.select("n", "full", F.substring("full", 1, SHORT).alias("at"))
