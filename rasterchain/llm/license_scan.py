@@ -150,8 +150,13 @@ def _softmax(z: np.ndarray) -> np.ndarray:
 
 def sampled_paragraphs(docs: DataFrame, text_col: str) -> list[str]:
     """The paragraphs of the texts with the least hashes, SAMPLE at most."""
-    few = docs.where(F.col(text_col).isNotNull()).select(text_col).orderBy(F.xxhash64(text_col)).limit(SAMPLE // 4)
-    lines = few.select(F.explode(F.split(text_col, "\n")).alias("p")).where("length(p) > 0").select(F.substring("p", 1, 2000).alias("p")).orderBy(F.xxhash64("p")).limit(SAMPLE)
+    hashed = docs.where(F.col(text_col).isNotNull()).select(F.xxhash64(text_col).alias("_h"), F.col(text_col).alias("_text"))
+    # hashes are compared first, so that no task gathers texts that will not be taken
+    least = hashed.select("_h").distinct().orderBy("_h").limit(SAMPLE // 4).agg(F.max("_h")).first()[0]
+    if least is None:
+        return []
+    few = hashed.where(F.col("_h") <= F.lit(least)).dropDuplicates(["_h"])
+    lines = few.select(F.explode(F.split("_text", "\n")).alias("p")).where("length(p) > 0").select(F.substring("p", 1, 2000).alias("p")).orderBy(F.xxhash64("p")).limit(SAMPLE)
     return [r["p"] for r in lines.collect()]
 
 
