@@ -106,7 +106,12 @@ def prepared(vectors: DataFrame, id_col: str, vector_col: str, label_col: str) -
 
 def fit_codebooks(rows: DataFrame, n_vectors: int) -> tuple[int, np.ndarray, np.ndarray] | None:
     """(dimension, codes of the first half, codes of the second half) from a bounded sample, chosen by hash."""
-    sample = rows.where("v is not null").orderBy(F.xxhash64("n"), "n").limit(SAMPLE).select("v").toPandas()["v"]
+    hashed = rows.where("v is not null").withColumn("h", F.xxhash64("n"))
+    # hashes are compared first, so that no task gathers vectors that will not be taken
+    least = hashed.select("h").orderBy("h").limit(SAMPLE).agg(F.max("h")).first()[0]
+    if least is None:
+        return None
+    sample = hashed.where(F.col("h") <= F.lit(least)).orderBy("h").select("v").toPandas()["v"]
     if not len(sample):
         return None
     lengths = np.array([len(v) for v in sample])
