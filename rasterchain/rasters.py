@@ -145,10 +145,10 @@ def page_bytes(spark, d) -> DataFrame:
 
 
 def turns(spark, d) -> DataFrame:
-    """One row of 256 characters a turn; turns that a conversation lacks are rows of 0."""
-    t = table(spark, d, "conversations").select(F.col("conv_id").alias("img"), F.col("turn").alias("y"), F.posexplode(F.split("text", "")).alias("x", "c")).where("c != '' and x < 256")
+    """One row a turn, as wide as the longest turn of its conversation; shorter turns and turns that a conversation lacks are filled with 0."""
+    t = table(spark, d, "conversations").select(F.col("conv_id").alias("img"), F.col("turn").alias("y"), F.posexplode(F.split("text", "")).alias("x", "c")).where("c != ''")
     cells = t.groupBy(F.col("img").cast("bigint").alias("img"), F.col("y").cast("int").alias("y"), "x").agg(F.max(F.least(F.ascii("c"), F.lit(255))).cast("bigint").alias("v"))
-    return densify(cells, _frame(cells, F.max("y") + 1, F.lit(256)))
+    return densify(cells, _frame(cells, F.max("y") + 1, F.max("x") + 1))
 
 
 def balances(spark, d) -> DataFrame:
