@@ -4,9 +4,10 @@ Each text of a page belongs to the path of tags that leads to it. Texts of one p
 written by one template, so the lengths and the punctuation marks of all texts of a path,
 over the number of its texts, tell articles from menus better than any single text does.
 The two ratios are smoothed over the paths in page order, fused by their product, and paths
-above a threshold (a share of the spread over the page) are content. Parts that by their tag
-or by the name of their class are never part of the article do not take part, and an article
-element, or a main element, bounds the search where it holds content.
+above a threshold (a share of the spread over the page) are content, within article and main
+elements as elsewhere. Parts that by their tag are never part of the article do not take part.
+Parts named by class like such parts take part only where nothing outside them has a ratio
+near theirs. What is short between content of one element, and headings of content, stay.
 """
 
 from __future__ import annotations
@@ -36,23 +37,24 @@ NAMES = re.compile(r"(?i)(?:^|\s)(class|id|role|hidden|style|aria-hidden)(?:\s*=
 PUNCTUATION = re.compile(r"[.,;:!?。，、；：！？]")
 SPACES = re.compile(r"\s+")
 KERNEL = np.array([0.25, 0.5, 0.25])
+LINK = re.compile(r"/a(?:\.[^/]*)?$")
+HEADING = re.compile(r"/h([1-6])(?:\.[^/]*)?$")
 
 
 class Page:
-    """Texts of a page: (path, apart, article number, block number, text)."""
+    """Texts of a page: (path, apart, names of its named parts, block number, text)."""
 
     def __init__(self, source: str):
-        self.texts: list[tuple[str, bool, int, int, str]] = []
-        #: open elements: tag, path, apart, article number
-        self.open: list[tuple[str, str, bool, int]] = [("", "", False, 0)]
+        self.texts: list[tuple[str, bool, tuple[str, ...], int, str]] = []
+        #: open elements: tag, path, apart, names of the named parts around, within an article or main element
+        self.open: list[tuple[str, str, bool, tuple[str, ...], bool]] = [("", "", False, (), False)]
         self.block = 0
-        self.articles = 0
         self._read(source)
 
     def _text(self, raw: str) -> None:
         if raw:
-            _, path, apart, article = self.open[-1]
-            self.texts.append((path, apart, article, self.block, raw))
+            _, path, apart, named, _ = self.open[-1]
+            self.texts.append((path, apart, named, self.block, raw))
 
     def _close(self, tag: str) -> None:
         for k in range(len(self.open) - 1, 0, -1):
@@ -95,7 +97,7 @@ class Page:
             if tag in VOID:
                 continue
             self._imply(tag)
-            _, path, apart, article = self.open[-1]
+            _, path, apart, named, article = self.open[-1]
             names, hidden = "", False
             for name, a, b, c in NAMES.findall(m[3] or ""):
                 value, name = a or b or c, name.lower()
@@ -105,13 +107,13 @@ class Page:
                     hidden |= value.lower() in APART_ROLE
                 elif name == "hidden" or name == "aria-hidden" and value.lower() == "true" or name == "style" and re.search(r"(?i)display\s*:\s*none|visibility\s*:\s*hidden", value):
                     hidden = True
-            apart = apart or hidden or tag in APART or tag not in ("html", "body") and bool(names and APART_NAME.search(names.strip())) or tag == "header" and not article
+            apart = apart or hidden or tag in APART or tag == "header" and not article
             if tag in ("article", "main"):
-                if article == 0:
-                    self.articles += 1
-                    article = self.articles
-                elif tag == "article" and any(x[0] == "article" for x in self.open):
-                    apart = True  # an article within an article is a reader's comment
+                if tag == "article" and any(x[0] == "article" for x in self.open):
+                    named += ("article",)  # an article within an article is a reader's comment
+                article = True
+            elif tag not in ("html", "body") and names and APART_NAME.search(names.strip()):
+                named += (f"{tag}.{re.sub(r'[0-9]+', '', names.strip())}",)
             # names of classes belong to the path; a changing id does not
             mark = re.sub(r"\d+", "", ".".join(names.split()[:2]))
             self_closed = (m[3] or "").endswith("/") and tag in ("svg", "path")
@@ -121,56 +123,119 @@ class Page:
                 end = re.compile(rf"(?i)</{re.escape(tag)}\s*>").search(source, at)
                 at = end.end() if end else len(source)
                 continue
-            self.open.append((tag, f"{path}/{tag}{'.' + mark if mark else ''}" if tag not in INLINE or tag == "a" else path, apart, article))
+            self.open.append((tag, f"{path}/{tag}{'.' + mark if mark else ''}" if tag not in INLINE or tag == "a" else path, apart, named, article))
         self._text(source[at:])
 
 
-def path_scores(texts: list[tuple[str, bool, int, int, str]]) -> dict[str, float]:
-    """Fused ratio of each path that may be content."""
-    paths: dict[str, list[float]] = {}
-    for path, apart, _, _, raw in texts:
+class Block:
+    """Texts of one block: links within it belong to its path, a block of nothing but links has a path of its own."""
+
+    def __init__(self, number: int, path: str, named: tuple[str, ...]):
+        self.number, self.base, self.named = number, path, named
+        self.raw = ""
+        self.linked = True
+
+    def add(self, path: str, raw: str) -> None:
+        self.raw += raw
+        self.linked &= not raw.strip() or bool(LINK.search(path))
+
+    @property
+    def path(self) -> str:
+        return self.base + "/a" if self.linked else self.base
+
+    @property
+    def text(self) -> str:
+        return SPACES.sub(" ", html.unescape(self.raw)).strip()
+
+
+def blocks_of(texts: list[tuple[str, bool, tuple[str, ...], int, str]]) -> list[Block]:
+    out: list[Block] = []
+    for path, apart, named, number, raw in texts:
         if not apart:
-            length = len(raw.strip())
-            if length:
-                p = paths.setdefault(path, [0, 0, 0])
-                p[0] += length
-                p[1] += len(PUNCTUATION.findall(raw))
-                p[2] += 1
+            base = LINK.sub("", path)
+            if not out or (out[-1].number, out[-1].base, out[-1].named) != (number, base, named):
+                out.append(Block(number, base, named))
+            out[-1].add(path, raw)
+    return out
+
+
+def path_scores(blocks: list[Block], smooth: bool = True) -> dict[str, float]:
+    """Fused ratio of each path."""
+    paths: dict[str, list[float]] = {}
+    for b in blocks:
+        if text := b.text:
+            p = paths.setdefault(b.path, [0, 0, 0])
+            p[0] += len(text)
+            p[1] += len(PUNCTUATION.findall(text))
+            p[2] += 1
     if not paths:
         return {}
     sums = np.array(list(paths.values()), float)
-    text, marks = sums[:, 0] / sums[:, 2], (sums[:, 1] + 1) / sums[:, 2]
-    smooth = [x if len(x) < 3 else np.convolve(np.pad(x, 1, "edge"), KERNEL, "valid") for x in (text, marks)]
-    return dict(zip(paths, (smooth[0] * smooth[1]).tolist(), strict=True))
+    ratios = sums[:, 0] / sums[:, 2], (sums[:, 1] + 1) / sums[:, 2]
+    text, marks = [x if len(x) < 3 or not smooth else np.convolve(np.pad(x, 1, "edge"), KERNEL, "valid") for x in ratios]
+    return dict(zip(paths, (text * marks).tolist(), strict=True))
+
+
+def unnamed(blocks: list[Block], share: float) -> list[Block]:
+    """Blocks outside named parts; where only named parts have a ratio near the best one, those and what is around them.
+
+    A single block, as of an advertisement, does not make a named part the article while there is text elsewhere.
+    """
+    scores = path_scores(blocks, smooth=False)
+    best: dict[tuple[str, ...], float] = {}
+    for b in blocks:
+        best[b.named] = max(best.get(b.named, 0.0), scores.get(b.path, 0.0))
+    filled: dict[tuple[str, ...], int] = {}
+    for b in blocks:
+        filled[b.named] = filled.get(b.named, 0) + bool(b.text)
+    best = {n: v for n, v in best.items() if filled[n] > (1 if n else 0)} or best
+    near = [n for n, v in best.items() if v >= share * max(best.values())]
+    depth = min(map(len, near))
+    return [b for b in blocks if any(n[: len(b.named)] == b.named for n in near if len(n) == depth)]
+
+
+def content(blocks: list[Block], share: float) -> list[bool]:
+    """Whether each block is content: by the ratio of its path, or as a heading of content, or between content of its element."""
+    scores = path_scores(blocks)
+    limit = share * float(np.std(list(scores.values()))) if len(scores) > 1 else 0.0
+    good = [scores.get(b.path, -1.0) >= limit for b in blocks]
+    kept = list(good)
+    last, at = "", -1
+    for i, b in enumerate(blocks):
+        if good[i]:
+            around = b.path.rpartition("/")[0]
+            if at >= 0 and around == last:
+                for j in range(at + 1, i):
+                    kept[j] |= not blocks[j].linked and (blocks[j].path + "/").startswith(around + "/")
+            last, at = around, i
+    #: ranks of headings to come that are followed by content before a heading of their rank
+    follows = [False] * 7
+    for i in range(len(blocks) - 1, -1, -1):
+        if m := HEADING.search(blocks[i].path.removesuffix("/a") if blocks[i].linked else blocks[i].path):
+            rank = int(m[1])
+            kept[i] |= follows[rank]
+            follows[rank:] = [False] * (7 - rank)
+        elif good[i]:
+            follows = [True] * 7
+    return kept
 
 
 def main_text(source: str | None, share: float = 0.3) -> str:
     """The article of a page: blocks in page order, joined by one space; empty for null or empty pages."""
     if not source:
         return ""
-    texts = Page(source).texts
-    if any(a and not apart and raw.strip() for _, apart, a, _, raw in texts):
-        # the article's own element bounds the search; the one with the most text is the article
-        size: dict[int, int] = {}
-        for _, apart, a, _, raw in texts:
-            if not apart and a:
-                size[a] = size.get(a, 0) + len(raw.strip())
-        best = max(size, key=size.get)
-        chosen = [t for t in texts if t[2] == best and not t[1]]
-    else:
-        scores = path_scores(texts)
-        if not scores:
-            return ""
-        limit = share * float(np.std(list(scores.values()))) if len(scores) > 1 else 0.0
-        good = {p for p, v in scores.items() if v >= limit}
-        chosen = [t for t in texts if not t[1] and t[0] in good]
+    candidates = [b for b in blocks_of(Page(source).texts) if b.raw]
+    if not any(b.text for b in candidates):
+        return ""
+    candidates = unnamed(candidates, share)
+    chosen = [b for b, keep in zip(candidates, content(candidates, share), strict=True) if keep]
     blocks: list[str] = []
     now = None
-    for _, _, _, block, raw in chosen:
-        if block != now:
+    for b in chosen:
+        if b.number != now:
             blocks.append("")
-            now = block
-        blocks[-1] += raw
+            now = b.number
+        blocks[-1] += b.raw
     decoded = (SPACES.sub(" ", html.unescape(b)).strip() for b in blocks)
     return " ".join(b for b in decoded if b)
 
