@@ -6,7 +6,9 @@ on the driver from notices of each family, varied by a seeded rule, and from a b
 sample of paragraphs of the corpus as they are and with stray licence words put in. A
 temperature fitted on held-out variants calibrates its probabilities; a paragraph whose
 likeliest class is unknown, or whose probability is low, stays unknown. A prediction counts
-only if the paragraph's word pairs also agree with the family's notices.
+only if the paragraph's word pairs also agree with the family's notices. Paragraphs are read
+whole and by the stretches of their sentences that run along with the notices, so that prose
+around a notice, or a second notice, hides none of them.
 
 Features hold at least one telling word, a word of the notices that is rare in the sample.
 So texts without a telling word need no scoring: they have no feature at all.
@@ -31,6 +33,8 @@ SAMPLE = 1000
 COMMON = 0.01
 #: Calibrated probability, and share of a paragraph's word pairs that the notices have, at least.
 SURE, AGREE = 0.6, 0.5
+#: Pairs of notices in a stretch, as many as the shortest notice has, and pairs between two of them (a word put in), at most.
+LEAST, GAP = 4, 3
 UNKNOWN = "unknown"
 
 #: Notices of each family, as they are published.
@@ -44,8 +48,9 @@ NOTICES = {
     "mit": (
         "Released under the MIT License.",
         "This project is licensed under the terms of the MIT License.",
-        'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction',
+        'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:',
         "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.",
+        'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.',
     ),
     "gpl-3.0": (
         "This work is licensed under the GNU General Public License, version 3.",
@@ -54,7 +59,7 @@ NOTICES = {
     ),
     "lgpl-3.0": (
         "Licensed under the GNU Lesser General Public License, version 3.",
-        "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation",
+        "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 3 of the License, or (at your option) any later version.",
     ),
     "agpl-3.0": ("Licensed under the GNU Affero General Public License, version 3.", "you can redistribute it and/or modify it under the terms of the GNU Affero General Public License"),
     "bsd-3-clause": (
@@ -160,6 +165,25 @@ def sampled_paragraphs(docs: DataFrame, text_col: str) -> list[str]:
     return [r["p"] for r in lines.collect()]
 
 
+def _stretches(two: Column, known: Column) -> Column:
+    """Arrays (first, last) of the runs of two along the pairs that known has, counted from 0."""
+    some = F.array_intersect(two, known)
+    at = F.filter(F.transform(two, lambda x, i: F.when(F.array_contains(some, x), i)), lambda i: i.isNotNull())
+    none = F.array().cast("array<struct<a: int, b: int, n: int>>")
+    run = lambda a, b, n: F.struct(a.alias("a"), b.alias("b"), n.cast("int").alias("n"))
+
+    def take(acc: Column, i: Column) -> Column:
+        last = F.element_at(acc, -1)
+        joins = (F.size(acc) > 0) & (i - F.get(acc, F.size(acc) - 1)["b"] <= GAP)
+        return F.when(joins, F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(run(last["a"], i, last["n"] + 1)))).otherwise(F.concat(acc, F.array(run(i, i, F.lit(1)))))
+
+    return F.filter(F.aggregate(at, none, take), lambda x: x["n"] >= LEAST)
+
+
+def _pairs(w: str) -> Column:
+    return F.expr(f"if(size({w}) < 2, cast(array() as array<string>), transform(slice({w}, 1, size({w}) - 1), (x, i) -> concat(x, ' ', {w}[i + 1])))")
+
+
 def _words(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), "[^a-z0-9]+"), lambda w: w != "")
 
@@ -168,7 +192,7 @@ def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", tex
     """(id, families array<string>, paragraphs array of (at, family, probability, agreement)), one row per input row.
 
     Paragraphs are the lines of a text, counted from 0. Only predicted and confirmed ones are
-    listed; families are sorted and distinct, and empty if there are none, as for null or
+    listed, one of each family a line; families are sorted and distinct, and empty if there are none, as for null or
     empty texts. Repeated rows give repeated rows. Without a model, one is trained on docs.
     """
     spark = docs.sparkSession
@@ -184,11 +208,16 @@ def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", tex
     key = F.xxhash64(F.col(id_col), F.col(text_col))
     rows = docs.select(F.col(id_col).alias("_id"), key.alias("_key"), text.alias("_text"))
     some = rows.where(F.arrays_overlap(F.split(F.lower("_text"), "[^a-z0-9]+"), telling))
-    lines = some.withColumn("_n", F.monotonically_increasing_id()).select("_id", "_key", "_n", F.posexplode(F.split("_text", "\n")).alias("at", "line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling)).drop("line")
-    lines = lines.withColumn("two", F.expr("if(size(w) < 2, cast(array() as array<string>), transform(slice(w, 1, size(w) - 1), (x, i) -> concat(x, ' ', w[i + 1])))"))
-    each = lines.select("_id", "_key", "_n", "at", F.array_distinct("two").alias("two"), F.explode(F.array_distinct(F.concat("w", "two"))).alias("f"))
+    lines = some.withColumn("_n", F.monotonically_increasing_id()).select("_id", "_key", "_n", F.posexplode(F.split("_text", "\n")).alias("at", "line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling))
+    known = F.array(*[F.lit(p) for p in sorted({f"{a} {b}" for notices in NOTICES.values() for n in notices for a, b in pairwise(words_of(n))})])
+    sentences = lines.select("_id", "_key", "_n", "at", F.explode(F.split("line", r"(?<=[.!?])\s+")).alias("line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling)).withColumn("two", _pairs("w"))
+    parts = sentences.select("_id", "_key", "_n", "at", "w", F.explode(_stretches(F.col("two"), known)).alias("s")).select("_id", "_key", "_n", "at", F.expr("slice(w, s.a + 1, s.b - s.a + 2)").alias("w"))
+    # words of a part tell it from others of its line; equal ones are one
+    lines = lines.drop("line").unionByName(parts).withColumn("part", F.xxhash64("w")).dropDuplicates(["_id", "_key", "_n", "at", "part"])
+    lines = lines.withColumn("two", _pairs("w"))
+    each = lines.select("_id", "_key", "_n", "at", "part", F.array_distinct("two").alias("two"), F.explode(F.array_distinct(F.concat("w", "two"))).alias("f"))
     sums = [F.sum(F.col("w")[k]).alias(f"s{k}") for k in range(len(classes))]
-    scored = each.join(F.broadcast(weights), "f").groupBy("_id", "_key", "_n", "at").agg(F.first("two").alias("two"), *sums)
+    scored = each.join(F.broadcast(weights), "f").groupBy("_id", "_key", "_n", "at", "part").agg(F.first("two").alias("two"), *sums)
     t = model["temperature"]
     z = F.array(*[(F.col(f"s{k}") + F.lit(model["bias"][k])) / F.lit(t) for k in range(len(classes))])
     names = F.array(*[F.lit(c) for c in classes])
@@ -197,6 +226,7 @@ def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", tex
     sure = best.where((F.col("family") != UNKNOWN) & (F.col("probability") >= SURE))
     shared = F.size(F.array_intersect("two", F.element_at(templates, F.col("family"))))
     confirmed = sure.withColumn("agreement", F.when(F.size("two") > 0, shared / F.size("two")).otherwise(F.lit(0.0))).where(F.col("agreement") >= AGREE)
+    confirmed = confirmed.groupBy("_id", "_key", "_n", "at", "family").agg(F.max("probability").alias("probability"), F.max("agreement").alias("agreement"))
     item = F.struct("at", "family", F.round("probability", 6).alias("probability"), F.round("agreement", 6).alias("agreement"))
     # rows that repeat an id and a text have the same paragraphs
     found = confirmed.groupBy("_id", "_key", "_n").agg(F.sort_array(F.collect_list(item)).alias("paragraphs")).groupBy("_id", "_key").agg(F.first("paragraphs").alias("paragraphs")).withColumnsRenamed({"_id": "_of", "_key": "_with"})
