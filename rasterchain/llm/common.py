@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
+import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,11 +20,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Uses the shared folder the cluster names; sets a folder of our own only where none is set."""
+    """Uses the shared folder that the cluster names; one of our own only where none is set.
+
+    Our own is a folder of the machine only if there is no other machine, else one in the shared warehouse.
+    """
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
         named = spark.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(named or os.path.join(tempfile.gettempdir(), "rasterchain-checkpoints"))
+        alone = re.fullmatch(r"local(\[[^\]]*\])?", sc.master)
+        sc.setCheckpointDir(named or (os.path.join(tempfile.gettempdir(), "rasterchain-checkpoints") if alone else f"{spark.conf.get('spark.sql.warehouse.dir')}/_rasterchain_checkpoints"))
 
 
 def checkpoint(df: DataFrame) -> DataFrame:
@@ -31,6 +37,15 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def saved(df: DataFrame) -> DataFrame:
+    """df as a table in the shared checkpoint folder, for rows too wide to be checkpointed as they are."""
+    spark = df.sparkSession
+    ensure_checkpoint_dir(spark)
+    path = f"{spark.sparkContext.getCheckpointDir()}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def small_enough(df: DataFrame, max_rows: int) -> bool:
     """True if df, which should be materialised, has at most max_rows rows; reads no more than that."""
     return df.limit(max_rows + 1).count() <= max_rows

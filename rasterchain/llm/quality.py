@@ -3,36 +3,45 @@
 Signals of a text are measured in its own row, without a shuffle. For each signal, language
 and source a relative-error quantile sketch is kept: values fall into buckets whose bounds
 grow by a constant factor, and a bucket holds a count. Such sketches merge by adding counts,
-so tasks pre-aggregate them and reruns agree exactly. Thresholds are fences around the
-quartiles, no tighter than a share of the median, and a text is kept if none of its signals
-lies outside the fences of its group. Groups with few rows use the fences of all rows.
+so tasks pre-aggregate them and reruns agree exactly.
+
+Every group is read with PRIOR rows' weight of its language's sketch added to its own, and
+every language with as much of the sketch of all rows: a group of few rows follows its
+language, one of many its own rows, and nothing changes at any size. Thresholds are fences
+around the quartiles, SPREAD quartile distances away on the sketch's logarithmic scale. Values of
+zero (no symbols, no repeated line) are never outside. A text is kept if each of its signals
+lies within the fences of its group or of its language, so that a group which is mostly
+copies of one text, whose quartiles meet, does not reject its other texts.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rasterchain.llm.common import WORD, broadcast_if_small, checkpoint, text_or_empty
+from rasterchain.llm.common import WORD, broadcast_if_small, checkpoint, saved, text_or_empty
 
 #: Base rules of the operator.
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
 SYMBOLS = r"[#*$%&|<>]"
 
-#: Relative width of the sketch's buckets, and its smallest value apart from zero.
-GAMMA = 1.02
-SMALLEST = 1e-4
-#: Groups with fewer rows than this use the fences of all rows.
-MIN_GROUP = 30
-
+#: Relative width of the sketch's buckets.
+GAMMA = 1.01
+#: Rows' weight that a language's sketch adds to a group's, and that of all rows to a language's.
+PRIOR = 20
+#: Distance of the fences from the quartiles, in quartile distances.
+SPREAD = 3
 
-#: Signals that the fences judge: name, value, and the least distance of a fence from the median.
+#: Signals that the fences judge: name, dividend and divisor.
 SIGNALS = (
-    ("symbols", "n_symbols / word_chars", 0.02),
-    ("dup_lines", "n_dup_lines / n_lines", 0.5),
-    ("repeats", "n_repeat_words / n_words", 0.4),
-    ("word_length", "word_chars / n_words", 2.0),
+    ("symbols", "n_symbols", "word_chars"),
+    ("dup_lines", "n_dup_lines", "n_lines"),
+    ("repeats", "n_repeat_words", "n_words"),
+    ("word_length", "word_chars", "n_words"),
+    ("letters", "word_chars - n_symbols", "n_words"),
 )
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "base_failed")
 
@@ -71,107 +80,110 @@ def measured(docs: DataFrame, text_col: str = "text") -> DataFrame:
     return out.withColumns({c: F.col(f"_m.{c}") for c in found} | {"base_failed": failed}).drop("_w", "_l", "_t", "_s", "_d", "_b", "_p", "_m")
 
 
-def _value(expression: str) -> Column:
-    top, bottom = expression.split(" / ")
-    return F.when(F.col(bottom) > 0, F.col(top) / F.col(bottom)).otherwise(F.lit(0.0))
+def bucket(top: str, bottom: str) -> Column:
+    """The sketch's bucket of a ratio; null for zero and where there is no divisor."""
+    some = (F.expr(bottom) > 0) & (F.expr(top) > 0)
+    return F.when(some, F.ceil(F.log(F.expr(f"({top}) / ({bottom})")) / math.log(GAMMA)).cast("int"))
 
 
 def sketches(signals: DataFrame, lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """(lang, source, signal, bucket, n): quantile sketches, merged by adding n."""
-    each = F.explode(F.array(*[F.struct(F.lit(name).alias("signal"), _bucket(_value(e)).alias("bucket")) for name, e, _ in SIGNALS]))
+    each = F.explode(F.array(*[F.struct(F.lit(name).alias("signal"), bucket(t, b).alias("bucket")) for name, t, b in SIGNALS]))
     # texts that fail the base rules say nothing of their group
     passed = signals.where(~F.col("base_failed"))
-    return passed.select(F.col(lang_col).alias("lang"), F.col(source_col).alias("source"), each.alias("x")).groupBy("lang", "source", "x.signal", "x.bucket").agg(F.count("*").alias("n"))
-
-
-def _bucket(value: Column) -> Column:
-    import math
-
-    return F.when(value < SMALLEST, F.lit(None).cast("int")).otherwise(F.ceil(F.log(value) / math.log(GAMMA)).cast("int"))
+    return passed.select(F.col(lang_col).alias("lang"), F.col(source_col).alias("source"), each.alias("x")).where("x.bucket is not null").groupBy("lang", "source", "x.signal", "x.bucket").agg(F.count("*").alias("n"))
 
 
-def _estimate(bucket: Column) -> Column:
-    """The middle of a bucket; the bucket of null holds zeros."""
-    return F.when(bucket.isNull(), F.lit(0.0)).otherwise(F.pow(F.lit(GAMMA), bucket) * (2 / (1 + GAMMA)))
+def blended(own: DataFrame, above: DataFrame, keys: list[str], shared: list[str]) -> DataFrame:
+    """(keys, signal, bucket, n): own counts and PRIOR rows of the sketch above, brought to a common denominator.
 
-
-def quantiles(sketch: DataFrame, keys: list[str], at: dict[str, float]) -> DataFrame:
-    """(keys, n, one column for each quantile) of merged sketches."""
-    w = Window.partitionBy(*keys).orderBy(F.col("bucket").asc_nulls_first())
-    run = sketch.withColumns({"below": F.sum("n").over(w), "total": F.sum("n").over(Window.partitionBy(*keys))})
-    value = _estimate(F.col("bucket"))
-    picked = [F.min(F.when(F.col("below") >= F.ceil(F.lit(q) * F.col("total")), value)).alias(name) for name, q in at.items()]
-    return run.groupBy(*keys).agg(F.max("total").alias("n"), *picked)
-
-
-def fences(sketch: DataFrame, spread: float = 3.0) -> DataFrame:
-    """(lang, source, lo_* and hi_* of each signal), and a row that holds for all rows, marked by everywhere."""
-    at = {"q1": 0.25, "q2": 0.5, "q3": 0.75}
-    own = quantiles(sketch, ["lang", "source", "signal"], at).where(F.col("n") >= MIN_GROUP).withColumn("everywhere", F.lit(False))
-    merged = sketch.groupBy("signal", "bucket").agg(F.sum("n").alias("n"))
-    whole = quantiles(merged, ["signal"], at).select(F.lit(None).cast(sketch.schema["lang"].dataType).alias("lang"), F.lit(None).cast(sketch.schema["source"].dataType).alias("source"), "signal", "n", "q1", "q2", "q3", F.lit(True).alias("everywhere"))
-    both = own.select(whole.columns).union(whole)
-    reach = F.lit(spread) * (F.col("q3") - F.col("q1"))
+    shared are the keys that above has too. Counts become products of up to three counts;
+    they are whole numbers, so that sums agree in any order.
+    """
+    wide = above.withColumn("of", F.sum("n").over(Window.partitionBy(*shared, "signal"))).select(*[F.col(k).alias(f"_{k}") for k in (*shared, "signal", "bucket")], (F.col("n") * PRIOR).cast("decimal(38,0)").alias("_n"), F.col("of").cast("decimal(38,0)").alias("_of"))
+    one = own.select(*keys, "signal").distinct()
+    same = lambda names: [F.col(k).eqNullSafe(F.col(f"_{k}")) for k in names]
+    of = wide.groupBy(*[f"_{k}" for k in (*shared, "signal")]).agg(F.max("_of").alias("_of"))
+    mine = own.join(of, same([*shared, "signal"])).select(*keys, "signal", "bucket", (F.col("n").cast("decimal(38,0)") * F.col("_of")).cast("decimal(38,0)").alias("n"))
+    lent = one.join(wide, same([*shared, "signal"])).select(*keys, "signal", F.col("_bucket").alias("bucket"), F.col("_n").alias("n"))
+    return mine.union(lent).groupBy(*keys, "signal", "bucket").agg(F.sum("n").cast("decimal(38,0)").alias("n"))
+
+
+def bounds(sketch: DataFrame, keys: list[str], spread: int) -> DataFrame:
+    """(keys, signal, lo, hi): the buckets between which a group's values lie."""
+    w = Window.partitionBy(*keys, "signal")
+    run = sketch.withColumns({"below": F.sum("n").over(w.orderBy("bucket")), "total": F.sum("n").over(w)})
+    at = {f"b{q}": F.min(F.when(4 * F.col("below") >= q * F.col("total"), F.col("bucket"))) for q in (1, 3)}
+    picked = run.groupBy(*keys, "signal").agg(*[c.alias(name) for name, c in at.items()])
+    # a quartile may be off by the sketch's bucket
+    reach = F.lit(spread) * (F.col("b3") - F.col("b1")) + 1
+    return picked.select(*keys, "signal", (F.col("b1") - reach).alias("lo"), (F.col("b3") + reach).alias("hi"))
+
+
+def fences(sketch: DataFrame, spread: int = SPREAD) -> DataFrame:
+    """(lang, source, lo_* and hi_* of each signal) as buckets; sketch should be materialised. One row a group."""
+    of_lang = sketch.groupBy("lang", "signal", "bucket").agg(F.sum("n").alias("n"))
+    every = sketch.groupBy("signal", "bucket").agg(F.sum("n").alias("n"))
+    lang = checkpoint(blended(of_lang, every, ["lang"], []))
+    group = bounds(blended(sketch, lang, ["lang", "source"], ["lang"]), ["lang", "source"], spread)
+    wider = bounds(lang, ["lang"], spread).select(F.col("lang").alias("_lang"), F.col("signal").alias("_signal"), F.col("lo").alias("_lo"), F.col("hi").alias("_hi"))
+    both = group.join(wider, F.col("lang").eqNullSafe(F.col("_lang")) & (F.col("signal") == F.col("_signal")))
     columns = []
-    for name, _, least in SIGNALS:
+    for name, _, _ in SIGNALS:
         mine = F.col("signal") == name
-        columns += [F.max(F.when(mine, F.least(F.col("q1") - reach, F.col("q2") - least))).alias(f"lo_{name}"), F.max(F.when(mine, F.greatest(F.col("q3") + reach, F.col("q2") + least))).alias(f"hi_{name}")]
-    return both.groupBy("everywhere", "lang", "source").agg(*columns)
+        columns += [F.max(F.when(mine, F.least("lo", "_lo"))).alias(f"lo_{name}"), F.max(F.when(mine, F.greatest("hi", "_hi"))).alias(f"hi_{name}")]
+    return both.groupBy("lang", "source").agg(*columns)
 
 
 def judged(signals: DataFrame, limits: DataFrame, lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """signals with kept: false if base_failed, else true if every signal lies within the fences of its group."""
-    bounds = [f"{side}_{name}" for name, _, _ in SIGNALS for side in ("lo", "hi")]
-    own = limits.where("not everywhere").select(F.col("lang").alias("_lang"), F.col("source").alias("_source"), F.struct(*bounds).alias("_own"))
-    whole = limits.where("everywhere").first()  # one row, or none if no text passes the base rules
+    ends = [f"{side}_{name}" for name, _, _ in SIGNALS for side in ("lo", "hi")]
+    own = limits.select(F.col("lang").alias("_lang"), F.col("source").alias("_source"), F.struct(*ends).alias("_own"))
     out = signals.join(broadcast_if_small(own), F.col(lang_col).eqNullSafe(F.col("_lang")) & F.col(source_col).eqNullSafe(F.col("_source")), "left")
     inside = F.lit(True)
-    for name, e, _ in SIGNALS:
-        lo, hi = (F.coalesce(F.col(f"_own.{side}_{name}"), F.lit(whole and whole[f"{side}_{name}"]).cast("double")) for side in ("lo", "hi"))
-        # a sketch's estimate may be off by the bucket's width
-        inside = inside & F.coalesce((_value(e) >= lo / GAMMA) & (_value(e) <= hi * GAMMA), F.lit(True))
+    for name, t, b in SIGNALS:
+        inside = inside & F.coalesce(bucket(t, b).between(F.col(f"_own.lo_{name}"), F.col(f"_own.hi_{name}")), F.lit(True))
     return out.withColumn("kept", ~F.col("base_failed") & inside).drop("_lang", "_source", "_own")
 
 
-def quality_rules(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source", spread: float = 3.0) -> DataFrame:
+def ruled(signals: DataFrame, lang_col: str = "lang", source_col: str = "source", spread: int = SPREAD) -> DataFrame:
+    """signals (measured rows) with kept. They are written once, so that no text is measured twice."""
+    signals = saved(signals)
+    limits = checkpoint(fences(checkpoint(sketches(signals, lang_col, source_col)), spread))
+    return judged(signals, limits, lang_col, source_col)
+
+
+def quality_rules(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source", spread: int = SPREAD) -> DataFrame:
     """docs with the measures and kept (boolean); nothing is dropped here.
 
     Null languages and sources form groups of their own. The thresholds are a checkpointed
     table of one row a group. If docs lacks its text column's content (null), base_failed holds.
     Repeated rows count each time; an empty table gives an empty result.
     """
-    signals = measured(docs, text_col)
-    limits = checkpoint(fences(sketches(signals, lang_col, source_col), spread))
-    return judged(signals, limits, lang_col, source_col)
+    return ruled(measured(docs, text_col), lang_col, source_col, spread)
 
 
 def op3_quality(spark, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    signals = checkpoint(measured(docs.select("doc_id", "lang", "source", "text")).drop("text"))
-    limits = checkpoint(fences(sketches(signals)))
-    return judged(signals, limits).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "lang", "source", "text")
+    return ruled(measured(docs).drop("text")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
 def _sql() -> str:
     """DuckDB SQL for op3_quality: the same measures, sketches, fences and verdicts."""
-    import math
-
-    each = " union all ".join(f"select lang, source, '{name}' signal, case when {b} > 0 then {t}::double / {b} else 0.0 end v from m where not base_failed" for name, e, _ in SIGNALS for t, b in [e.split(" / ")])
-    least = "case signal " + " ".join(f"when '{name}' then {x}" for name, _, x in SIGNALS) + " end"
-    value = f"case when bucket is null then 0.0 else pow({GAMMA}, bucket) * {2 / (1 + GAMMA)!r} end"
-
-    def picked(source: str, keys: str) -> str:
-        at = ", ".join(f"min(case when below >= ceil({q} * total) then {value} end) q{i}" for i, q in ((1, 0.25), (2, 0.5), (3, 0.75)))
-        return f"select {keys}, max(total) n, {at} from (select *, sum(n) over (partition by {keys} order by bucket nulls first) below, sum(n) over (partition by {keys}) total from {source}) group by {keys}"
-
-    limits = f"least(q1 - 3.0 * (q3 - q1), q2 - {least}) lo, greatest(q3 + 3.0 * (q3 - q1), q2 + {least}) hi"
-    tests = []
-    for name, e, _ in SIGNALS:
-        t, b = e.split(" / ")
-        v = f"(case when {b} > 0 then {t}::double / {b} else 0.0 end)"
-        mine = " ".join(f"left join own o_{name} on o_{name}.signal = '{name}' and o_{name}.lang is not distinct from m.lang and o_{name}.source is not distinct from m.source left join everywhere e_{name} on e_{name}.signal = '{name}'".split())
-        tests.append((mine, f"coalesce({v} >= coalesce(o_{name}.lo, e_{name}.lo) / {GAMMA} and {v} <= coalesce(o_{name}.hi, e_{name}.hi) * {GAMMA}, true)"))
-    joins, inside = " ".join(x for x, _ in tests), " and ".join(x for _, x in tests)
+
+    def at(t: str, b: str) -> str:
+        return f"case when {b} > 0 and {t} > 0 then ceil(ln(({t})::double / ({b})) / {math.log(GAMMA)!r})::int end"
+
+    each = " union all ".join(f"select lang, source, '{name}' signal, {at(t, b)} bucket from m where not base_failed" for name, t, b in SIGNALS)
+
+    def ends(source: str, keys: str) -> str:
+        q = ", ".join(f"min(case when 4 * below >= {q} * total then bucket end) b{q}" for q in (1, 3))
+        return f"select {keys}, signal, b1 - {SPREAD} * (b3 - b1) - 1 lo, b3 + {SPREAD} * (b3 - b1) + 1 hi from (select {keys}, signal, {q} from (select *, sum(n) over (partition by {keys}, signal order by bucket) below, sum(n) over (partition by {keys}, signal) total from {source}) group by {keys}, signal)"
+
+    tests, joins = [], []
+    for name, t, b in SIGNALS:
+        joins.append(f"left join o o_{name} on o_{name}.signal = '{name}' and o_{name}.lang is not distinct from m.lang and o_{name}.source is not distinct from m.source")
+        tests.append(f"coalesce({at(t, b)} between o_{name}.lo and o_{name}.hi, true)")
     return rf"""
 with w as (
   select doc_id, lang, source, coalesce(text, '') t, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') ws,
@@ -184,11 +196,21 @@ with w as (
   (length(t) - length(regexp_replace(t, '{SYMBOLS}', '', 'g')))::bigint n_symbols,
   (len(ls) - len(list_distinct(ls)))::bigint n_dup_lines, len(ls)::bigint n_lines, coalesce(r, 0)::bigint n_repeat_words,
   len(ws) < {MIN_WORDS} or 100 * coalesce(r, 0) > {MAX_REPEAT_PERCENT} * len(ws) base_failed from w left join n using (doc_id))
-, s as (select lang, source, signal, case when v < {SMALLEST} then null else ceil(ln(v) / {math.log(GAMMA)!r})::int end bucket, count(*) n from ({each}) group by all)
-, own as (select lang, source, signal, {limits} from ({picked("s", "lang, source, signal")}) where n >= {MIN_GROUP})
-, merged as (select signal, bucket, sum(n) n from s group by all)
-, everywhere as (select signal, {limits} from ({picked("merged", "signal")}))
-select m.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and {inside} kept from m {joins}
+, s as (select lang, source, signal, bucket, count(*)::hugeint n from ({each}) where bucket is not null group by all)
+, a as (select signal, bucket, sum(n) n from s group by all)
+, ta as (select signal, sum(n) k from a group by all)
+, sl as (select lang, signal, bucket, sum(n) n from s group by all)
+, l as (select lang, signal, bucket, sum(n) n from (
+    select lang, signal, bucket, n * k n from sl join ta using (signal)
+    union all select lang, signal, bucket, {PRIOR} * n from (select distinct lang, signal from sl) join a using (signal)) group by all)
+, tl as (select lang, signal, sum(n) k from l group by all)
+, g2 as (select lang, source, signal, bucket, sum(n) n from (
+    select s.lang, source, s.signal, bucket, n * k n from s join tl on tl.lang is not distinct from s.lang and tl.signal = s.signal
+    union all select x.lang, x.source, x.signal, l.bucket, {PRIOR} * l.n from (select distinct lang, source, signal from s) x join l on l.lang is not distinct from x.lang and l.signal = x.signal) group by all)
+, fl as ({ends("l", "lang")})
+, fg as ({ends("g2", "lang, source")})
+, o as (select fg.lang, fg.source, fg.signal, least(fg.lo, fl.lo) lo, greatest(fg.hi, fl.hi) hi from fg join fl on fg.lang is not distinct from fl.lang and fg.signal = fl.signal)
+select m.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and {" and ".join(tests)} kept from m {" ".join(joins)}
 """
 
 
