@@ -2,8 +2,8 @@
 
 A url stands for the expressions made of one of its host's suffixes (whole labels) and one of
 its path's prefixes; a rule is one such expression. Both sides meet on the first bytes of the
-expression's SHA-256, which are then confirmed by the whole digest. Prefixes are tried at the
-lengths that rules have. Of the rules that fit, the longest decides.
+expression's SHA-256, which are then confirmed by the whole digest. Suffixes and prefixes are
+tried at the lengths that rules have. Of the rules that fit, the longest decides.
 """
 
 from __future__ import annotations
@@ -61,21 +61,22 @@ def filter_urls(pages: DataFrame, rules: DataFrame, url_col: str = "url", defaul
     keep = [c for c in pages.columns if c not in ("host", "path", "rule", "verdict")]
     digest = F.sha2(F.concat("host", F.lit("\n"), "path"), 256)
     known = checkpoint(rules.where("host is not null and host != '' and path is not null and verdict is not null").groupBy("host", "path").agg(F.max(F.struct((F.col("verdict") == "block").alias("b"), F.col("verdict"))).getField("verdict").alias("of")).withColumns({"digest": digest, "short": F.substring(digest, 1, SHORT)}))
-    # as many as there are different lengths, not rules
+    # as many as there are different lengths (of paths, and of hosts in labels), not rules
     lengths = [r["n"] for r in known.select(F.length("path").alias("n")).distinct().orderBy("n").collect()]
+    depths = [r["n"] for r in known.select(F.size(F.split("host", r"\.")).alias("n")).distinct().orderBy("n").collect()]
     rows = pages.select(F.struct(*[F.col(c) for c in keep]).alias("row"), F.coalesce(F.col(url_col), F.lit("")).alias("url")).select("row", url_host(F.col("url")).alias("host"), url_path(F.col("url")).alias("path"))
-    # a row of its own number: repeated pages stay apart
-    rows = rows.withColumn("n", F.monotonically_increasing_id())
-    labels = F.split("host", r"\.")
-    hosts = F.when(F.col("host") == "", F.array().cast("array<string>")).otherwise(F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), ".")))
+    # the verdict hangs on host and path alone: each pair is expanded once, and no row needs a number
+    pairs = rows.where("host != ''").select("host", "path").distinct()
+    dots = F.length("host") - F.length(F.replace(F.col("host"), F.lit("."), F.lit("")))
+    hosts = F.transform(F.filter(F.array(*[F.lit(n) for n in depths]).cast("array<int>"), lambda x: x <= dots + 1), lambda x: F.call_function("substring_index", "host", F.lit("."), -x))
     paths = F.transform(F.filter(F.array(*[F.lit(n) for n in lengths]).cast("array<int>"), lambda x: x <= F.length("path")), lambda x: F.substring("path", F.lit(1), x))
-    both = F.flatten(F.transform(hosts, lambda h: F.transform(paths, lambda p: F.struct(h.alias("host"), p.alias("path")))))
-    each = rows.select("n", F.explode_outer(both).alias("x")).select("n", F.sha2(F.concat("x.host", F.lit("\n"), "x.path"), 256).alias("full"))
-    short = each.select("n", "full", F.substring("full", 1, SHORT).alias("at"))
+    one = pairs.select("host", "path", F.explode(hosts).alias("h"))
+    each = one.select("host", "path", "h", F.explode(paths).alias("p")).select(F.col("host").alias("of_host"), F.col("path").alias("of_path"), F.sha2(F.concat("h", F.lit("\n"), "p"), 256).alias("full"))
+    short = each.select("of_host", "of_path", "full", F.substring("full", 1, SHORT).alias("at"))
     met = short.join(broadcast_if_small(known.withColumnRenamed("short", "at")), "at").where("full = digest")
     order = F.struct(F.length("host") + F.length("path"), F.length("host"), F.col("of") == "block")
-    best = met.groupBy("n").agg(F.max_by(F.struct(F.concat("host", "path").alias("rule"), F.col("of").alias("verdict")), order).alias("best"))
-    return rows.join(best, "n", "left").select("row.*", "host", "path", F.col("best.rule").alias("rule"), F.coalesce("best.verdict", F.lit(default)).alias("verdict"))
+    best = met.groupBy("of_host", "of_path").agg(F.max_by(F.struct(F.concat("host", "path").alias("rule"), F.col("of").alias("verdict")), order).alias("best"))
+    return rows.join(best, (F.col("host") == F.col("of_host")) & (F.col("path") == F.col("of_path")), "left").select("row.*", "host", "path", F.col("best.rule").alias("rule"), F.coalesce("best.verdict", F.lit(default)).alias("verdict"))
 
 
 def op2_url_filter(spark, sf_dir: str) -> DataFrame:
