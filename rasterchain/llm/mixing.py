@@ -102,7 +102,12 @@ def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
     Columns of docs that have the names of results are replaced.
     """
     rows = measured(docs.drop(*[c for c in docs.columns if c in FIELDS and c not in (id_col, text_col, source_col)]), id_col, text_col, source_col, seed)
-    small = checkpoint(rows.groupBy("_source", "_hash").agg(F.sum("_size").alias("_size")))
+    return _taken(rows, rows, weights, max_epochs)
+
+
+def _taken(rows: DataFrame, sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), max_epochs: int = 3) -> DataFrame:
+    """The mix of measured rows. sizes are the same rows, measured in full; of rows only the columns are computed that the result is read for."""
+    small = checkpoint(sizes.groupBy("_source", "_hash").agg(F.sum("_size").alias("_size")))
     goals = checkpoint(targets(small, weights, max_epochs))
     plan = checkpoint(cuts(small, goals)).withColumnRenamed("_source", "_of")
     joined = rows.join(broadcast_if_small(plan), F.col("_source").eqNullSafe(F.col("_of")), "left")
@@ -119,7 +124,9 @@ def sampled(docs: DataFrame, **options) -> DataFrame:
 
 def op8_mixing(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
-    return mixed(docs).select("doc_id", "size", "source_size", "target", "taken")
+    # the texts are read once; what is kept of them is a number and a hash
+    rows = checkpoint(measured(docs, "doc_id", "text", "source", 17).drop("text", "source"))
+    return _taken(rows, rows).select("doc_id", "size", "source_size", "target", "taken")
 
 
 #: DuckDB SQL for op8_mixing, with running sums over each source in place of bins.
