@@ -7,12 +7,14 @@ documents.
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rasterchain.llm.common import checkpoint, ensure_checkpoint_dir
 from rasterchain.llm.mixing import sampled
-from rasterchain.llm.quality import quality_rules
+from rasterchain.llm.quality import measured, ruled
 from rasterchain.llm.sentencepiece_codec import model_bytes, token_digests
 from rasterchain.llm.simhash import simhash_groups
 from rasterchain.llm.suffix_dedup import remove_repeats
@@ -25,7 +27,8 @@ def _wrapped(docs: DataFrame, *needed: str) -> DataFrame:
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass the base rules and the fences of their language and source."""
-    return quality_rules(_wrapped(docs, "text", "lang", "source")).where("kept").select("_row.*")
+    measures = measured(_wrapped(docs, "text", "lang", "source")).drop("text")
+    return ruled(measures).where("kept").select("_row.*")
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -74,9 +77,10 @@ ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages on documents; each stage is written to the shared folder and read again."""
-    import uuid
+    """All stages on documents; each stage is written to the shared folder and read again.
 
+    What a stage wrote is removed once its successor is written; what the last one reads stays, as its result is lazy.
+    """
     ensure_checkpoint_dir(spark)
     base = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
@@ -85,4 +89,11 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         if k + 1 < len(STAGES):
             docs.write.parquet(f"{base}/{k}")
             docs = spark.read.parquet(f"{base}/{k}")
+            if k:
+                _removed(spark, f"{base}/{k - 1}")
     return docs
+
+
+def _removed(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
