@@ -1,17 +1,17 @@
 """SentencePiece BPE encoding by vectorised merge rounds, and decoding.
 
 Texts are cut where no piece of the vocabulary can reach across, and each distinct word of a
-batch is encoded once. The words' symbols lie in one flat array. Each round looks up the rank
-of every adjacent pair, takes the least rank of each word, merges all leftmost
-non-overlapping pairs of that rank at the same time, and closes the gaps; words without a
-known pair leave. If a merged piece could at once form a better pair, only the leftmost
-merge of the word is done in that round, so that the result is always that of merging one
-pair at a time. Very long words are merged one pair at a time from a heap, in the same order.
+batch is encoded once. The words' symbols lie in one flat array, cut into blocks; a word has
+as many blocks as its length needs. Each round takes the least pair rank of each word (from
+the least ranks of its blocks), merges all leftmost non-overlapping pairs of that rank at the
+same time, and links their neighbours; only blocks that hold such pairs are looked at, so a word of any
+length goes the same way. Where a merged piece at once forms a better pair, the word's merges
+to the right of it wait for a later round, so that the result is always that of merging one
+pair at a time. Symbols that are left when no word has a known pair are moved together and spelled.
 """
 
 from __future__ import annotations
 
-import heapq
 import re
 from collections.abc import Iterator
 from functools import lru_cache
@@ -24,7 +24,8 @@ from pyspark.sql import functions as F
 SPACE_MARK = "▁"
 NORMAL, USER_DEFINED, UNUSED = 1, 4, 5
 CACHE_WORDS = 400_000
-LONG_WORD = 512
+#: Symbols of a block.
+BLOCK = 256
 BATCH_CHARS = 1 << 20
 
 
@@ -115,29 +116,15 @@ class BpeTables:
 
     def encode_words(self, words: list[str]) -> list[bytes]:
         """The ids of each word, as little-endian unsigned 32-bit integers."""
-        out: list[bytes] = [b""] * len(words)
+        if not words:
+            return []
         size = np.fromiter(map(len, words), np.int64, len(words))
-        for i in np.flatnonzero(size > LONG_WORD).tolist():
-            sym = np.array(self._one_by_one(self._first(words[i]).tolist()), np.int64)
-            out[i] = self._spell(sym)[0].tobytes()
-        short = np.flatnonzero(size <= LONG_WORD)
-        if not len(short):
-            return out
-        sym = self._first("".join([words[i] for i in short.tolist()] if len(short) < len(words) else words))
-        word = np.repeat(np.arange(len(short)), size[short])
-        at = self._pairs(sym, word, np.arange(len(sym)))
-        done_sym, done_word = [], []
-        while len(sym):
-            sym, word, at, s, w = self._round(sym, word, at)
-            done_sym.append(s)
-            done_word.append(w)
-        sym, word = np.concatenate(done_sym), np.concatenate(done_word)
-        by = np.argsort(word, kind="stable")
-        ids, count = self._spell(sym[by])
-        ends = 4 * np.cumsum(np.bincount(word[by], weights=count, minlength=len(short)).astype(np.int64))
-        blob, a = ids.tobytes(), 0
-        for i, b in zip(short.tolist(), ends.tolist(), strict=True):
-            out[i] = blob[a:b]
+        left, of = Rounds(self, self._first("".join(words)), size).run()
+        ids, count = self._spell(left)
+        ends = 4 * np.cumsum(np.bincount(of, weights=count, minlength=len(words)).astype(np.int64))
+        blob, a, out = ids.tobytes(), 0, []
+        for b in ends.tolist():
+            out.append(blob[a:b])
             a = b
         return out
 
@@ -162,66 +149,98 @@ class BpeTables:
                 ids[at + k] = v
         return ids, count
 
-    def _pairs(self, sym: np.ndarray, word: np.ndarray, at: np.ndarray) -> np.ndarray:
-        """For each symbol in at, the table's place of the pair that begins there, -1 if there is none."""
-        nxt = np.minimum(at + 1, len(sym) - 1)
-        found = self._find(sym[at] << 32 | sym[nxt])
-        found[(nxt == at) | (word[at] != word[nxt])] = -1
-        return found
-
-    def _round(self, sym: np.ndarray, word: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, ...]:
-        """One round: what is left (symbols, words, pairs), and the symbols and words that are done."""
-        rank = np.where(at >= 0, self.ranks[at], self.none)
-        start = np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]]))
-        size = np.diff(np.append(start, len(sym)))
-        least = np.minimum.reduceat(rank, start)
-        best = np.repeat(least, size)
-        i = np.flatnonzero((rank == best) & (at >= 0))
-        if len(i):
-            new_word = np.concatenate([[True], word[i][1:] != word[i][:-1]])
-            new_run = np.flatnonzero(new_word | np.concatenate([[True], np.diff(i) != 1]))
-            nth = np.arange(len(i)) - np.repeat(new_run, np.diff(np.append(new_run, len(i))))
-            i = i[(nth % 2 == 0) & (new_word | ~self.risky[best[i]])]
-            sym = sym.copy()
-            sym[i] = self.merged[at[i]]
-        stay = np.ones(len(sym), bool)
-        stay[i + 1] = False
-        over = best == self.none
-        done_sym, done_word = sym[over], word[over]
-        stay &= ~over
-        place = np.cumsum(stay) - 1
-        sym, word, at, i = sym[stay], word[stay], at[stay], place[i]
-        if len(i):
-            touched = np.zeros(len(sym), bool)
-            touched[i] = touched[np.maximum(i - 1, 0)] = True
-            changed = np.flatnonzero(touched)
-            at[changed] = self._pairs(sym, word, changed)
-        return sym, word, at, done_sym, done_word
-
-    def _one_by_one(self, sym: list[int]) -> list[int]:
-        n = len(sym)
-        before, after = list(range(-1, n - 1)), [*range(1, n), -1]
-        heap: list[tuple[int, int, int, int]] = []
-
-        def offer(a: int, b: int) -> None:
-            if a >= 0 and b >= 0 and (found := self.pairs.get(sym[a] << 32 | sym[b])):
-                heapq.heappush(heap, (found[0], a, sym[a], sym[b]))
-
-        for k in range(n - 1):
-            offer(k, k + 1)
-        while heap:
-            _, a, x, y = heapq.heappop(heap)
-            b = after[a]
-            if sym[a] != x or b < 0 or sym[b] != y:
-                continue
-            sym[a] = self.pairs[x << 32 | y][1]
-            sym[b] = -1
-            after[a] = after[b]
-            if after[b] >= 0:
-                before[after[b]] = a
-            offer(before[a], a)
-            offer(a, after[a])
-        return [s for s in sym if s >= 0]
+    def rank_of(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ranks of the pairs (a, b), none for unknown ones, and their places in the table."""
+        found = self._find(a << 32 | b)
+        return np.where(found >= 0, self.ranks[found], self.none), found
+
+
+class Rounds:
+    """Merge rounds over the symbols of many words, laid end to end."""
+
+    def __init__(self, tables: BpeTables, sym: np.ndarray, size: np.ndarray):
+        self.t, self.sym, n = tables, sym, len(sym)
+        self.word = np.repeat(np.arange(len(size)), size)
+        #: neighbours within the word, -1 where it ends
+        self.next, self.before = np.arange(1, n + 1), np.arange(-1, n - 1)
+        ends = np.cumsum(size)
+        self.next[ends[size > 0] - 1] = self.before[(ends - size)[size > 0]] = -1
+        self.alive = np.ones(n, bool)
+        blocks = -(-size // BLOCK)
+        first = np.cumsum(blocks) - blocks
+        inside = np.arange(blocks.sum()) - np.repeat(first, blocks)
+        self.start = np.repeat(ends - size, blocks) + inside * BLOCK
+        self.length = np.minimum(np.repeat(size, blocks) - inside * BLOCK, BLOCK)
+        self.block = np.repeat(np.arange(len(self.start)), self.length)
+        self.owner = np.repeat(np.arange(int((blocks > 0).sum())), blocks[blocks > 0])
+        self.first = first[blocks > 0]
+        self.rank, self.place = np.full(n, tables.none), np.full(n, -1)
+        self._look(np.arange(n))
+        self.least = np.minimum.reduceat(self.rank, self.start) if n else self.rank
+
+    def _look(self, at: np.ndarray) -> None:
+        """Ranks of the pairs that begin at these places."""
+        nxt = self.next[at]
+        some = nxt >= 0
+        self.rank[at[~some]] = self.t.none
+        at = at[some]
+        self.rank[at], self.place[at] = self.t.rank_of(self.sym[at], self.sym[nxt[some]])
+
+    def _places(self, blocks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """All places of the blocks, and where each block begins among them."""
+        size = self.length[blocks]
+        begin = np.cumsum(size) - size
+        return np.repeat(self.start[blocks] - begin, size) + np.arange(size.sum()), begin
+
+    def run(self) -> tuple[np.ndarray, np.ndarray]:
+        """The symbols that are left, and the word of each."""
+        while len(self.least):
+            best = np.minimum.reduceat(self.least, self.first)[self.owner]
+            live = np.flatnonzero((self.least == best) & (best < self.t.none))
+            if not len(live):
+                break
+            at, _ = self._places(live)
+            i = at[self.rank[at] == np.repeat(best[live], self.length[live])]
+            self._merge(self._together(i))
+        return self.sym[self.alive], self.word[self.alive]
+
+    def _together(self, i: np.ndarray) -> np.ndarray:
+        """Those of the pairs of least rank, in order of place, that one round may merge."""
+        joined = np.concatenate([[False], self.next[i[:-1]] == i[1:]])
+        run = np.flatnonzero(~joined)
+        i = i[(np.arange(len(i)) - np.repeat(run, np.diff(np.append(run, len(i))))) % 2 == 0]
+        risky = self.t.risky[self.rank[i]]
+        if not risky.any():
+            return i
+        # what a merge forms with the symbols beside it, those to its left merged before it and those to its right not yet
+        new, before, after = self.t.merged[self.place[i]], self.before[i], self.next[self.next[i]]
+        near = np.where(before >= 0, self.sym[before], 0)
+        merged_too = np.concatenate([[False], self.next[self.next[i[:-1]]] == i[1:]])
+        near[1:] = np.where(merged_too[1:], new[:-1], near[1:])
+        ours = self.rank[i]
+        better = (before >= 0) & (self.t.rank_of(near, new)[0] < ours)
+        better |= (after >= 0) & (self.t.rank_of(new, np.where(after >= 0, self.sym[after], 0))[0] < ours)
+        better &= risky
+        head = np.concatenate([[True], self.word[i[1:]] != self.word[i[:-1]]])
+        earlier = np.cumsum(better) - better
+        return i[earlier == np.repeat(earlier[head], np.diff(np.append(np.flatnonzero(head), len(i))))]
+
+    def _merge(self, i: np.ndarray) -> None:
+        gone = self.next[i]
+        after = self.next[gone]
+        self.sym[i] = self.t.merged[self.place[i]]
+        self.next[i] = after
+        self.before[after[after >= 0]] = i[after >= 0]
+        self.alive[gone] = False
+        self.rank[gone] = self.t.none
+        touched = np.zeros(len(self.least), bool)
+        before = self.before[i]
+        changed = np.concatenate([i, before[before >= 0]])
+        self._look(changed)
+        touched[self.block[changed]] = touched[self.block[gone]] = True
+        blocks = np.flatnonzero(touched)
+        at, begin = self._places(blocks)
+        self.least[blocks] = np.minimum.reduceat(self.rank[at], begin)
 
 
 @lru_cache(2)
