@@ -1,11 +1,14 @@
 """Near-duplicate vectors by an inverted multi-index.
 
-Unit vectors are cut in halves; a codebook for each half, fitted on a bounded sample, makes a
-grid of cells, and every vector is stored in the cell of its two nearest codes. A query walks
-the grid by the multi-sequence order: cells by growing sum of squared distances to their
-bisectors, which bound the step a near vector must make to lie in that cell. It stops at the
-step that a share of `recall` of the vectors at the threshold would not exceed, if they
-differ in any direction. Pairs that meet in a cell are verified in double precision.
+Equal vectors of a label are one stored vector with a weight, so that a group of copies of
+any size is one row. Unit vectors are cut in halves; a codebook for each half, fitted on a bounded
+sample, makes a grid of cells, and every vector is stored in the cell of its two nearest
+codes. A query walks the grid by the multi-sequence order: cells by growing sum of squared
+distances to their bisectors, which bound the step a near vector must make to lie in that
+cell. It stops at the step that a share of `recall` of the vectors at the threshold would not
+exceed, if they differ as vectors differ from their codes: the spread of those differences
+along the directions between codes is measured on the sample, so that vectors of few
+effective dimensions have longer steps. Pairs that meet in a cell are verified in double precision.
 
 A cell with many vectors is dealt out over several tasks, each with a bounded part; queries
 visit all parts in batches. Tasks emit counts and spanning links, never all pairs.
@@ -22,16 +25,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rasterchain.llm.common import broadcast_if_small, checkpoint
+from rasterchain.llm.common import broadcast_if_small, checkpoint, saved
 from rasterchain.llm.components import connected_components, star_edges
 
 #: Vectors that the codebooks are fitted on, at most.
 SAMPLE = 8192
-#: Stored vectors of a cell that one task takes.
-PART = 2048
+#: Stored vectors of a cell that one task takes. Each query goes to all parts of a cell, so parts are large.
+PART = 8192
 QUERIES_AT_ONCE = 512
-#: Mean vectors of a cell that the size of the codebooks aims at, and the bounds of that size.
-OCCUPANCY, LEAST_CODES, MOST_CODES = 256, 2, 256
+#: Mean vectors of a cell that the size of the codebooks aims at. A codebook has at most as many codes as the sample has vectors.
+OCCUPANCY = 256
 
 
 def kmeans(x: np.ndarray, k: int, rounds: int = 12, seed: int = 5) -> np.ndarray:
@@ -78,14 +81,34 @@ def multi_sequence(a: np.ndarray, b: np.ndarray, limit: float) -> list[tuple[int
     return out
 
 
-def step_limit(threshold: float, dim: int, recall: float) -> float:
-    """Squared step, over two bisectors, within which a share of recall of vectors at the threshold stay."""
-    each = 2 * (1 - threshold) / dim  # mean square of a difference along any direction
-    return 2 * math.log(1 / (1 - recall)) * each
+def spread_along(x: np.ndarray, first: np.ndarray, second: np.ndarray) -> float:
+    """Largest share of the mean squared difference between vectors and their codes that falls along two directions between codes, one of each half."""
+    half = first.shape[1]
+    rest = np.concatenate([x[:, :half] - first[nearest(x[:, :half], first)], x[:, half:] - second[nearest(x[:, half:], second)]], axis=1)
+    cov = rest.T @ rest / len(rest)
+    total = np.trace(cov)
+    if not total > 0:
+        return 1 / x.shape[1]
+
+    def most(codes: np.ndarray, c: np.ndarray) -> float:
+        best = 0.0
+        for code in codes:
+            u = codes - code
+            long = np.sqrt((u * u).sum(1))
+            u = u[long > 0] / long[long > 0, None]
+            if len(u):
+                best = max(best, float(((u @ c) * u).sum(1).max()))
+        return best
 
+    one = max(most(first, cov[:half, :half]), most(second, cov[half:, half:]), total / x.shape[1])
+    both = float(np.linalg.norm(cov[:half, half:], 2))  # what the two directions may have in common
+    return (one + both) / total
 
-def usable(v: np.ndarray) -> bool:
-    return v is not None and len(v) > 0
+
+def step_limit(threshold: float, spread: float, recall: float) -> float:
+    """Squared step, over two bisectors, within which a share of recall of vectors at the threshold stay."""
+    each = 2 * (1 - threshold) * spread  # mean square of a difference along one direction
+    return 2 * math.log(1 / (1 - recall)) * each
 
 
 def _unit(rows: pa.Array) -> np.ndarray:
@@ -95,47 +118,53 @@ def _unit(rows: pa.Array) -> np.ndarray:
 
 
 def prepared(vectors: DataFrame, id_col: str, vector_col: str, label_col: str) -> DataFrame:
-    """(n, vec_id, label, v array<double>, dim): v is null where the vector links with nothing."""
+    """(vec_id, label, v array<double>, h1, h2): v is null where the vector links with nothing; h1 and h2 are hashes of label and v."""
     v = F.col(vector_col).cast("array<double>")
     good = F.col(label_col).isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0.0)
-    # scaled by the largest component, so that squares neither overflow nor vanish
+    # scaled by the largest component, so that squares neither overflow nor vanish; negative zeros are zeros
     most = F.array_max(F.transform(v, lambda x: F.abs(x)))
-    rows = vectors.select(F.col(id_col).alias("vec_id"), F.col(label_col).alias("label"), F.when(F.coalesce(good, F.lit(False)), F.transform(v, lambda x: x / most)).alias("v"))
-    return rows.withColumn("n", F.monotonically_increasing_id()).withColumn("dim", F.size("v"))
+    rows = vectors.select(F.col(id_col).alias("vec_id"), F.col(label_col).cast("string").alias("label"), F.when(F.coalesce(good, F.lit(False)), F.transform(v, lambda x: x / most + F.lit(0.0))).alias("v"))
+    return rows.withColumns({"h1": F.xxhash64("label", "v"), "h2": F.xxhash64(F.lit(7), "v", "label")})
 
 
-def fit_codebooks(rows: DataFrame, n_vectors: int) -> tuple[int, np.ndarray, np.ndarray] | None:
-    """(dimension, codes of the first half, codes of the second half) from a bounded sample, chosen by hash."""
-    hashed = rows.where("v is not null").withColumn("h", F.xxhash64("n"))
+def distinct_vectors(rows: DataFrame) -> DataFrame:
+    """(u, w, low, label, dim, v, h1, h2): each vector of a label once, with a number, how often it occurs and its smallest id."""
+    each = rows.where("v is not null").groupBy("h1", "h2").agg(F.count("*").alias("w"), F.min(F.col("vec_id").cast("long")).alias("low"), F.first("label").alias("label"), F.first("v").alias("v"))
+    return each.select(F.monotonically_increasing_id().alias("u"), "w", "low", "label", F.size("v").alias("dim"), "v", "h1", "h2")
+
+
+def fit_codebooks(groups: DataFrame) -> tuple[int, np.ndarray, np.ndarray, float] | None:
+    """(dimension, codes of the first half, codes of the second half, spread) from a bounded sample, chosen by hash of the content."""
     # hashes are compared first, so that no task gathers vectors that will not be taken
-    least = hashed.select("h").orderBy("h").limit(SAMPLE).agg(F.max("h")).first()[0]
+    least = groups.select("h1").orderBy("h1").limit(SAMPLE).agg(F.max("h1")).first()[0]
     if least is None:
         return None
-    sample = hashed.where(F.col("h") <= F.lit(least)).orderBy("h").select("v").toPandas()["v"]
-    if not len(sample):
-        return None
+    sample = groups.where(F.col("h1") <= F.lit(least)).orderBy("h1", "h2").select("v").toPandas()["v"]
     lengths = np.array([len(v) for v in sample])
     dim = int(np.bincount(lengths).argmax())
     if dim < 2:
-        return dim, np.zeros((1, dim // 2)), np.zeros((1, dim - dim // 2))
+        return dim, np.zeros((1, dim // 2)), np.zeros((1, dim - dim // 2)), 1.0
     x = np.array([v for v in sample if len(v) == dim], float)
     x /= np.sqrt((x * x).sum(1))[:, None]
-    k = int(np.clip(2 ** round(math.log2(max(1.0, math.sqrt(n_vectors / OCCUPANCY)))), LEAST_CODES, MOST_CODES))
+    # vectors meet within their label, so its size sets that of the grid
+    n = groups.groupBy("label").count().agg(F.max("count")).first()[0]
+    k = max(2, 2 ** round(math.log2(max(1.0, math.sqrt(n / OCCUPANCY)))))
     half = dim // 2
-    return dim, kmeans(x[:, :half], k), kmeans(x[:, half:], k)
+    first, second = kmeans(x[:, :half], k), kmeans(x[:, half:], k)
+    return dim, first, second, spread_along(x, first, second)
 
 
-CELLS = "label string, dim int, cell int, role byte, n long, vec_id long, own boolean, v array<double>"
+CELLS = "label string, dim int, cell int, role byte, u long, w long, own boolean, v array<double>"
 
 
 def _visit(books, threshold: float, recall: float):
-    """Rows (n, vec_id, label, dim, v) as stored rows (role 0) and as queries (role 1) of the cells to visit.
+    """Rows (u, w, label, dim, v) as stored rows (role 0) and as queries (role 1) of the cells to visit.
 
     Of two different cells, the one with the lower number sends the query. Vectors of another
     dimension than the codebooks' have one cell.
     """
-    dim, first, second = books
-    half, limit = dim // 2, step_limit(threshold, dim, recall)
+    dim, first, second, spread = books
+    half, limit = dim // 2, step_limit(threshold, spread, recall)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -163,63 +192,63 @@ def _visit(books, threshold: float, recall: float):
                     role += [0, 1]
                     own += [True, True]
                 take = pa.array(where, pa.int64())
-                yield pa.RecordBatch.from_arrays([b.column(2).take(take), b.column(3).take(take), pa.array(cell, pa.int32()), pa.array(role, pa.int8()), b.column(0).take(take), b.column(1).take(take), pa.array(own, pa.bool_()), b.column(4).take(take)], names=["label", "dim", "cell", "role", "n", "vec_id", "own", "v"])
+                yield pa.RecordBatch.from_arrays([b.column(2).take(take), b.column(3).take(take), pa.array(cell, pa.int32()), pa.array(role, pa.int8()), b.column(0).take(take), b.column(1).take(take), pa.array(own, pa.bool_()), b.column(4).take(take)], names=["label", "dim", "cell", "role", "u", "w", "own", "v"])
 
     return run
 
 
-FOUND = "n long, links long, u long, v long"
+FOUND = "u long, links long, a long, b long"
+
+
+def _found(u: np.ndarray, links: np.ndarray | None, b: np.ndarray | None = None) -> pa.RecordBatch:
+    """Counts of vectors u, or links between u and b."""
+    none = pa.nulls(len(u), pa.int64())
+    columns = [pa.array(u), pa.array(links), none, none] if b is None else [none, none, pa.array(u), pa.array(b)]
+    return pa.RecordBatch.from_arrays(columns, names=["u", "links", "a", "b"])
 
 
 def _verify(threshold: float):
-    """Rows sorted by (label, dim, cell, part, role): counts (n, links) and spanning links (u, v) of vec_ids."""
+    """Rows sorted by (label, dim, cell, part, role): weights of linked vectors (u, links) and spanning links (a, b)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, base, base_n, base_id, base_hits = None, [], None, None, None
+        now, base, base_u, base_w, hits = None, [], None, None, None
 
-        def counts(n: np.ndarray, hits: np.ndarray) -> Iterator[pa.RecordBatch]:
-            some = hits > 0
+        def counts(u: np.ndarray, links: np.ndarray) -> Iterator[pa.RecordBatch]:
+            some = links > 0
             if some.any():
-                yield pa.RecordBatch.from_arrays([pa.array(n[some]), pa.array(hits[some]), pa.nulls(int(some.sum()), pa.int64()), pa.nulls(int(some.sum()), pa.int64())], names=["n", "links", "u", "v"])
-
-        def closed() -> Iterator[pa.RecordBatch]:
-            if base_hits is not None:
-                yield from counts(base_n, base_hits)
+                yield _found(u[some], links[some])
 
-        for b in batches:
-            keys = list(zip(*(b.column(i).to_pylist() for i in range(4)), strict=True))
-            role, own = b.column(4).to_numpy(), b.column(7).to_numpy(zero_copy_only=False)
-            n, ids = b.column(5).to_numpy(), b.column(6)
+        for batch in batches:
+            keys = list(zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True))
+            role, u, w = (batch.column(i).to_numpy() for i in (4, 5, 6))
+            own = batch.column(7).to_numpy(zero_copy_only=False)
             change = [0, *(i for i in range(1, len(keys)) if keys[i] != keys[i - 1] or role[i] != role[i - 1]), len(keys)]
             for lo, hi in zip(change, change[1:], strict=False):
                 if keys[lo] != now:
-                    yield from closed()
-                    now, base, base_n, base_id, base_hits = keys[lo], [], np.empty(0, np.int64), [], None
+                    if hits is not None:
+                        yield from counts(base_u, hits)
+                    now, base, base_u, base_w, hits = keys[lo], [], np.empty(0, np.int64), np.empty(0, np.int64), None
                 if role[lo] == 0:
-                    base.append(_unit(b.column(8).slice(lo, hi - lo)))
-                    base_n = np.concatenate([base_n, n[lo:hi]])
-                    base_id += ids.slice(lo, hi - lo).to_pylist()
+                    base.append(_unit(batch.column(8).slice(lo, hi - lo)))
+                    base_u, base_w = np.concatenate([base_u, u[lo:hi]]), np.concatenate([base_w, w[lo:hi]])
                     continue
                 if not base:
                     continue
-                if len(base) > 1 or base_hits is None:
-                    base = [np.concatenate(base)]
-                    base_hits = np.zeros(len(base_n), np.int64)
+                if hits is None:
+                    base, hits = [np.concatenate(base)], np.zeros(len(base_u), np.int64)
                 for at in range(lo, hi, QUERIES_AT_ONCE):
                     to = min(hi, at + QUERIES_AT_ONCE)
-                    near = _unit(b.column(8).slice(at, to - at)) @ base[0].T >= threshold
-                    near &= n[at:to][:, None] != base_n[None, :]
+                    near = _unit(batch.column(8).slice(at, to - at)) @ base[0].T >= threshold
+                    near &= u[at:to][:, None] != base_u[None, :]
                     if not near.any():
                         continue
-                    yield from counts(n[at:to], near.sum(1))
-                    base_hits += near[~own[at:to]].sum(0)
+                    yield from counts(u[at:to], near @ base_w)
+                    hits += (near & ~own[at:to, None]).T @ w[at:to]
                     q, s = np.nonzero(near)
-                    names = np.array([-1 if x is None else x for x in ids.slice(at, to - at).to_pylist() + base_id])
-                    u, v = names[q], names[to - at + s]
-                    u, v = star_edges(*(x[(u >= 0) & (v >= 0) & (u != v)] for x in (u, v)))
-                    if len(u):
-                        yield pa.RecordBatch.from_arrays([pa.nulls(len(u), pa.int64()), pa.nulls(len(u), pa.int64()), pa.array(u), pa.array(v)], names=["n", "links", "u", "v"])
-        yield from closed()
+                    a, b = star_edges(u[at:to][q], base_u[s])
+                    yield _found(a, None, b)
+        if hits is not None:
+            yield from counts(base_u, hits)
 
     return run
 
@@ -229,27 +258,31 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, recall: float = 0.
 
     Vectors link if their labels are equal and not null, they have as many components, and
     their cosine is at least threshold; those that are null, empty, zero or hold null or
-    non-finite components link with nothing. Ids are not negative. Repeated rows link with each other. A row with
+    non-finite components link with nothing. Ids are whole numbers of any sign. Repeated rows link with each other. A row with
     a null id is counted as a link of others, but has no component of its own (null, not
     kept). Tables without vectors give no links; empty tables give empty results.
     """
-    rows = checkpoint(prepared(vectors, id_col, vector_col, label_col))
-    good = rows.where("v is not null")
-    books = fit_codebooks(rows, good.count())
+    rows = saved(prepared(vectors, id_col, vector_col, label_col))
+    groups = saved(distinct_vectors(rows))
+    books = fit_codebooks(groups)
     if books is None:
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.col("vec_id").isNotNull().alias("kept"))
-    walked = good.select("n", F.col("vec_id").cast("long"), F.col("label").cast("string"), "dim", "v").mapInArrow(_visit(books, threshold, recall), CELLS)
+    walked = groups.select("u", "w", "label", "dim", "v").mapInArrow(_visit(books, threshold, recall), CELLS)
     cells = checkpoint(walked.where("role = 0").groupBy("label", "dim", "cell").agg(F.ceil(F.count("*") / PART).cast("int").alias("parts")).where("parts > 1"))
     parted = walked.join(broadcast_if_small(cells), ["label", "dim", "cell"], "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
     # a stored vector goes to one part of its cell, a query to all
-    part = F.explode(F.when(F.col("role") == 0, F.array(F.pmod(F.xxhash64("n"), F.col("parts")).cast("int"))).otherwise(F.sequence(F.lit(0), F.col("parts") - 1)))
-    dealt = parted.withColumn("part", part).select("label", "dim", "cell", "part", "role", "n", "vec_id", "own", "v").repartition("label", "dim", "cell", "part").sortWithinPartitions("label", "dim", "cell", "part", "role")
+    part = F.explode(F.when(F.col("role") == 0, F.array(F.pmod(F.xxhash64("u"), F.col("parts")).cast("int"))).otherwise(F.sequence(F.lit(0), F.col("parts") - 1)))
+    dealt = parted.withColumn("part", part).select("label", "dim", "cell", "part", "role", "u", "w", "own", "v").repartition("label", "dim", "cell", "part").sortWithinPartitions("label", "dim", "cell", "part", "role")
     found = checkpoint(dealt.mapInArrow(_verify(threshold), FOUND))
-    links = found.where("links is not null").groupBy("n").agg(F.sum("links").alias("n_links"))
-    labels = connected_components(found.where("u is not null").select("u", "v"))
-    out = rows.select("n", "vec_id").join(links, "n", "left").join(labels, F.col("vec_id") == F.col("node"), "left")
-    component = F.coalesce("component", "vec_id")
-    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
+    links = found.where("links is not null").groupBy("u").agg(F.sum("links").alias("others"))
+    labels = connected_components(found.where("a is not null").select(F.col("a").alias("u"), F.col("b").alias("v")))
+    named = groups.select("u", "w", "low", "h1", "h2").join(links, "u", "left").join(labels, F.col("u") == F.col("node"), "left").withColumn("of", F.coalesce("component", "u"))
+    named = checkpoint(named.select("of", "w", "low", "h1", "h2", "others"))
+    first = named.groupBy("of").agg(F.min("low").alias("smallest"))
+    told = named.join(first, "of").select("h1", "h2", "smallest", (F.col("w") - 1 + F.coalesce("others", F.lit(0))).alias("links"))
+    out = rows.select("vec_id", F.when(F.col("v").isNotNull(), F.col("h1")).alias("h1"), "h2").join(told, ["h1", "h2"], "left")
+    component = F.when(F.col("vec_id").isNotNull(), F.coalesce(F.col("smallest").cast(rows.schema["vec_id"].dataType), F.col("vec_id")))
+    return out.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
 
 
 def op1_embedding_dedup(spark, sf_dir: str) -> DataFrame:
