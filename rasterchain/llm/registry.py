@@ -10,7 +10,7 @@ from rasterchain.llm.multi_index import OP1_SQL, op1_embedding_dedup
 from rasterchain.llm.quality import OP3_SQL, op3_quality
 from rasterchain.llm.sentencepiece_codec import op4_sentencepiece
 from rasterchain.llm.simhash import op7_simhash
-from rasterchain.llm.suffix_dedup import op6_suffix_dedup
+from rasterchain.llm.suffix_dedup import OP6_SQL, op6_suffix_dedup
 from rasterchain.llm.url_filter import OP2_SQL, op2_url_filter
 
 QUERIES = {
@@ -25,4 +25,4 @@ QUERIES = {
     "op9_html_extraction": op9_html_extraction,
     "op10_license_scan": op10_license_scan,
 }
-ORACLES: dict[str, str] = {"op1_embedding_dedup": OP1_SQL, "op2_url_filter": OP2_SQL, "op3_quality": OP3_SQL, "op8_mixing": OP8_SQL}
+ORACLES: dict[str, str] = {"op1_embedding_dedup": OP1_SQL, "op2_url_filter": OP2_SQL, "op3_quality": OP3_SQL, "op6_suffix_dedup": OP6_SQL, "op8_mixing": OP8_SQL}

@@ -5,36 +5,39 @@ twice. Anchors chosen by content alone (the smallest hash of a `gram`-byte strin
 window) fall at the same place of equal windows, so only suffixes around repeated anchors
 can take part:
 
-1. each task hashes its texts, picks the anchors, and joins equal anchors with equal
-   surroundings (so a passage that is repeated everywhere leaves one row a task);
-2. anchors meet by hash. Equal surroundings on both sides up to the window are repeated as a
-   whole; of differing surroundings of one anchor, one copy each is fetched from the text;
-3. the fetched surroundings of each anchor are ordered by deep-shallow sorting in both
-   directions; classes of equal prefixes tell which windows around the anchor are repeated;
+1. each task hashes its texts and picks the anchors. Anchors of one task with equal
+   surroundings, compared byte by byte, leave one row (so a passage that is repeated
+   everywhere leaves one row a task);
+2. anchors meet by hash; the surroundings of all that meet another are fetched from the text;
+3. the surroundings of each anchor are ordered by deep-shallow sorting in both directions;
+   equal ones, and classes of equal prefixes of the others, tell which windows around the
+   anchor are repeated;
 4. intervals are merged and cut from each text.
 
-Anchors with very many differing surroundings are not gathered: their windows are dealt out
-by their own hash, and counted there.
+An anchor with more surroundings than one task sorts at once is split: windows whose part
+before the anchor is short share more bytes after it, the others more bytes before it. Each
+half of the windows is dealt out by the bytes that all of its windows share, and split again
+while it is too large; a single window is counted. What sorts the parts is the same.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
-from functools import cache
+from functools import cache, reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rasterchain.llm.common import broadcast_if_small, checkpoint, text_or_empty
+from rasterchain.llm.common import broadcast_if_small, checkpoint, saved, text_or_empty
 from rasterchain.llm.suffix_sort import repeated_windows
 
 CHUNK = 1 << 19
 FLUSH = 1 << 20
-#: Differing surroundings of one anchor that one task may gather.
-HOT = 20_000
+#: Surroundings of one anchor that one task sorts at once; larger groups are split by their bytes.
+PART = 8192
 NEVER = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -78,13 +81,13 @@ def sliding(x: np.ndarray, width: int, best) -> np.ndarray:
     return out
 
 
-def anchors(data: np.ndarray, ends: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of texts laid end to end: text number, place in the text, hash, and hash of the surroundings of each anchor."""
+def anchors(data: np.ndarray, ends: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, ...]:
+    """Of texts laid end to end: text number, place in the text, hash, hash of the surroundings, and first byte and length of the surroundings of each anchor."""
     n, reach = len(data), window - gram
     starts = np.concatenate([[0], ends[:-1]])
     empty = np.empty(0, np.int64)
     if n < window:
-        return empty, empty, empty, empty
+        return empty, empty, empty, empty, empty, empty
     up, down = powers(n + 1)
     total = np.zeros(n + 1, np.uint64)
     np.cumsum(_weights()[data] * up[:n], out=total[1:])
@@ -101,7 +104,7 @@ def anchors(data: np.ndarray, ends: np.ndarray, window: int, gram: int) -> tuple
     left, right = np.maximum(at - reach, starts[text]), np.minimum(at + window, ends[text])
     around = (total[right] - total[left]) * down[left]
     around = mix(around + (((at - left) << 20) | (right - at)).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
-    return text, at - starts[text], h[at].view(np.int64), around.view(np.int64)
+    return text, at - starts[text], h[at].view(np.int64), around.view(np.int64), left, right - left
 
 
 def _rows(kind: int, h, ctx, k1, k2, pos, flag) -> pa.RecordBatch:
@@ -111,14 +114,27 @@ def _rows(kind: int, h, ctx, k1, k2, pos, flag) -> pa.RecordBatch:
 
 
 ROWS = "kind byte, h long, ctx long, k1 long, k2 long, pos long, flag boolean"
-#: Kinds of rows: an anchor (flag: it has a twin), an anchor whose surroundings are repeated as a whole, a request for surroundings (flag: without a twin).
-ANCHOR, WHOLE, WANTED = 0, 1, 2
+#: Kinds of rows: an anchor (flag: it has a twin, which is another row's surroundings in its task), and an anchor whose surroundings are repeated as a whole.
+ANCHOR, WHOLE = 0, 1
+
+
+def equal_bytes(data: np.ndarray, a: np.ndarray, b: np.ndarray, n: np.ndarray, width: int) -> np.ndarray:
+    """Whether data[a : a + n] and data[b : b + n] agree; data is followed by width bytes at least."""
+    view = np.lib.stride_tricks.sliding_window_view(data, width)
+    out = np.empty(len(a), bool)
+    for at in range(0, len(a), 20_000):
+        part = slice(at, at + 20_000)
+        out[part] = ((view[a[part]] == view[b[part]]) | (np.arange(width) >= n[part, None])).all(axis=1)
+    return out
 
 
 def _find_anchors(window: int, gram: int):
+    width = 2 * window - gram
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
-        count = 0
+        kept: list[np.ndarray] = []
+        count = size_held = 0
         for b in batches:
             k1, k2 = b.column(0).to_numpy(), b.column(1).to_numpy()
             texts = b.column(2)
@@ -130,21 +146,28 @@ def _find_anchors(window: int, gram: int):
                     size += len(data[to])
                     to += 1
                 ends = np.cumsum([len(x) for x in data[at:to]])
-                t, pos, h, ctx = anchors(np.frombuffer(b"".join(data[at:to]), np.uint8), ends, window, gram)
-                held.append((h, ctx, k1[at:to][t], k2[at:to][t], pos))
+                flat = np.frombuffer(b"".join(data[at:to]), np.uint8)
+                t, pos, h, ctx, first, n = anchors(flat, ends, window, gram)
+                held.append((h, ctx, k1[at:to][t], k2[at:to][t], pos, first + size_held, n))
+                kept.append(flat)
+                size_held += len(flat)
                 count += len(t)
                 at = to
-            if count >= FLUSH:
-                yield from flush(held)
-                held, count = [], 0
+                if count >= FLUSH:
+                    yield from flush(held, kept)
+                    held, kept, count, size_held = [], [], 0, 0
         if count:
-            yield from flush(held)
+            yield from flush(held, kept)
 
-    def flush(held: list[tuple]) -> Iterator[pa.RecordBatch]:
-        h, ctx, k1, k2, pos = (np.concatenate(x) for x in zip(*held, strict=True))
+    def flush(held: list[tuple], kept: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        h, ctx, k1, k2, pos, begin, n = (np.concatenate(x) for x in zip(*held, strict=True))
         by = np.lexsort((ctx, h))
-        h, ctx, k1, k2, pos = h[by], ctx[by], k1[by], k2[by], pos[by]
-        first = np.concatenate([[True], (h[1:] != h[:-1]) | (ctx[1:] != ctx[:-1])])
+        h, ctx, k1, k2, pos, begin, n = (x[by] for x in (h, ctx, k1, k2, pos, begin, n))
+        first = np.concatenate([[True], (h[1:] != h[:-1]) | (ctx[1:] != ctx[:-1]) | (n[1:] != n[:-1])])
+        again = np.flatnonzero(~first)
+        if len(again):
+            data = np.concatenate([*kept, np.zeros(width, np.uint8)])
+            first[again] = ~equal_bytes(data, begin[again - 1], begin[again], n[again], width)
         twin = np.concatenate([~first[1:], [False]])
         inside = ~first | twin
         yield _rows(ANCHOR, h[first], ctx[first], k1[first], k2[first], pos[first], twin[first])
@@ -155,32 +178,9 @@ def _find_anchors(window: int, gram: int):
 
 
 def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by (h, ctx). Holds one group of equal (h, ctx) at a time, not one of equal h."""
-    held: list[np.ndarray] | None = None
-    several = None  # the hash that is known to have differing surroundings
-
-    def done(x: list[np.ndarray], several, goes_on: bool) -> Iterator[pa.RecordBatch]:
-        h, ctx, k1, k2, pos, flag = x
-        new_h = np.concatenate([[True], h[1:] != h[:-1]])
-        first = new_h | np.concatenate([[True], ctx[1:] != ctx[:-1]])
-        start = np.flatnonzero(first)
-        size = np.diff(np.append(start, len(h)))
-        twins = (size > 1) | (np.add.reduceat(flag.astype(np.int64), start) > 0)
-        whole = np.repeat(size > 1, size)
-        if whole.any():
-            yield _rows(WHOLE, h[whole], ctx[whole], k1[whole], k2[whole], pos[whole], True)
-        run = np.cumsum(new_h[start]) - 1
-        groups = np.bincount(run)
-        lonely = np.bincount(run, weights=~twins)
-        ask = (groups > 1) & (lonely > 0)
-        if several is not None and several == h[0]:
-            ask[0] = True
-        if goes_on:
-            ask[-1] = True
-        want = ask[run]
-        if want.any():
-            s = start[want]
-            yield _rows(WANTED, h[s], ctx[s], k1[s], k2[s], pos[s], ~twins[want])
+    """Rows sorted by h: those that share it with another one. Holds the last row of a batch only."""
+    last: list[np.ndarray] | None = None
+    shared = False  # whether the row that is held has met another one
 
     for b in batches:
         kind = b.column(0).to_numpy()
@@ -189,34 +189,34 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if passed.any():
             yield _rows(WHOLE, *(c[passed] for c in cols))
             cols = [c[~passed] for c in cols]
-        held = cols if held is None else [np.concatenate([a, c]) for a, c in zip(held, cols, strict=True)]
-        if len(held[0]) < 60_000:
+        if not len(cols[0]):
             continue
-        h, ctx = held[0], held[1]
-        last = (h == h[-1]) & (ctx == ctx[-1])
-        cut = int(np.argmax(last))  # the rows are sorted: the last group begins here
-        if not cut:
-            continue
-        goes_on = h[cut - 1] == h[cut]
-        yield from done([c[:cut] for c in held], several, goes_on)
-        several = h[cut] if goes_on else None
-        held = [c[cut:] for c in held]
-    if held is not None and len(held[0]):
-        yield from done(held, several, False)
+        if last is not None:
+            cols = [np.concatenate([a, c]) for a, c in zip(last, cols, strict=True)]
+        h = cols[0]
+        same = h[1:] == h[:-1]
+        met = np.concatenate([[shared], same]) | np.concatenate([same, [False]])
+        if met[:-1].any():
+            yield _rows(ANCHOR, *(c[:-1][met[:-1]] for c in cols))
+        last, shared = [c[-1:] for c in cols], bool(met[-1])
+    if shared:
+        yield _rows(ANCHOR, *last)
 
 
 SPANS = "k1 long, k2 long, lo long, hi long"
+#: Surroundings of an anchor: group, place, twin, first and last offset of the windows to be judged, bytes before the anchor, the bytes, and a hash of the row's other columns.
+AROUND = ["g1", "g2", "k1", "k2", "pos", "flag", "first_o", "last_o", "before", "around", "tag"]
 
 
-def _compare(window: int, reach: int):
-    """Rows (h, ctx, k1, k2, pos, flag, before, around) sorted by (h, ctx): intervals of repeated windows."""
+def _compare(window: int):
+    """Rows with the columns AROUND, sorted by (g1, g2): intervals of repeated windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
         for b in batches:
             held += zip(*(c.to_pylist() for c in b.columns), strict=True)
-            if len(held) > HOT:
-                cut = next((i for i in range(len(held) - 1, 0, -1) if held[i][0] != held[i - 1][0]), 0)
+            if len(held) > PART:
+                cut = next((i for i in range(len(held) - 1, 0, -1) if held[i][:2] != held[i - 1][:2]), 0)
                 if cut:
                     yield from done(held[:cut])
                     held = held[cut:]
@@ -224,19 +224,58 @@ def _compare(window: int, reach: int):
             yield from done(held)
 
     def done(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
-        rows = [r for i, r in enumerate(rows) if not i or r[:2] != rows[i - 1][:2]]
-        group = np.array([r[0] for r in rows], np.int64)
-        left = [r[7][: r[6]][::-1] for r in rows]
-        right = [r[7][r[6] :] for r in rows]
-        least, most = repeated_windows(left, right, group, window, reach)
-        hit = np.flatnonzero((most >= 0) & np.array([r[5] for r in rows]))
+        rows.sort(key=lambda r: (r[0], r[1], r[8], r[9]))
+        same = np.array([False, *(rows[i][:2] == rows[i - 1][:2] and rows[i][8:10] == rows[i - 1][8:10] for i in range(1, len(rows)))])
+        kind = np.cumsum(~same) - 1
+        one = [rows[i] for i in np.flatnonzero(~same)]
+        group = np.cumsum([0, *(one[i][:2] != one[i - 1][:2] for i in range(1, len(one)))])
+        least, most = np.full(len(one), -1, np.int64), np.full(len(one), -1, np.int64)
+        several = np.bincount(group)[group] > 1
+        if several.any():
+            some = [one[i] for i in np.flatnonzero(several)]
+            least[several], most[several] = repeated_windows([r[9][: r[8]][::-1] for r in some], [r[9][r[8] :] for r in some], group[several], window, np.array([r[6] for r in some]), np.array([r[7] for r in some]))
+        # equal surroundings of two rows, or of rows of one task, are repeated as a whole
+        twice = (np.bincount(kind, weights=[r[5] for r in rows]) > 0) | (np.bincount(kind) > 1)
+        fits = np.array([min(r[7], r[8]) for r in one]), np.array([max(r[6], window - (len(r[9]) - r[8])) for r in one])
+        most, least = np.where(twice, fits[0], most)[kind], np.where(twice, fits[1], least)[kind]
+        hit = np.flatnonzero((most >= 0) & (least <= most))
         if len(hit):
             k1, k2, pos = (np.array([rows[i][c] for i in hit], np.int64) for c in (2, 3, 4))
-            yield pa.RecordBatch.from_arrays([pa.array(k1), pa.array(k2), pa.array(pos - most[hit]), pa.array(pos - least[hit] + window)], names=["k1", "k2", "lo", "hi"])
+            yield _spans(k1, k2, pos - most[hit], pos - least[hit] + window)
 
     return run
 
 
+def _spans(k1, k2, lo, hi) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in (k1, k2, lo, hi)], names=["k1", "k2", "lo", "hi"])
+
+
+def _halves(around: DataFrame, window: int) -> DataFrame:
+    """Each row once for either half of its windows, dealt by the bytes that all windows of the half share; rows without room for such a window are left out."""
+    middle = F.expr("int((first_o + last_o) div 2)")
+    both = F.explode(F.array(F.struct(F.col("first_o").alias("a"), middle.alias("z")), F.struct((middle + 1).alias("a"), F.col("last_o").alias("z"))))
+    halves = around.withColumn("half", both).where(f"half.a <= before and length(around) - before >= {window} - half.z")
+    core = F.expr(f"substring(around, before - half.a + 1, half.a + {window} - half.z)")
+    keyed = halves.withColumns({"g1": F.xxhash64("g1", "g2", "half", core), "g2": F.xxhash64(F.lit(5), core, "half", "g2", "g1"), "first_o": F.col("half.a"), "last_o": F.col("half.z")})
+    return keyed.select(*AROUND)
+
+
+def _split(around: DataFrame, window: int) -> tuple[DataFrame, DataFrame]:
+    """Of rows AROUND of groups with more than PART rows: parts that are small enough, and (k1, k2, lo, hi) of repeated single windows."""
+    parts, windows, big = [], [], around
+    while True:
+        halves = saved(_halves(big, window))
+        size = checkpoint(halves.groupBy("g1", "g2").agg(F.count("*").alias("n")).where("n > 1"))
+        live = halves.join(broadcast_if_small(size), ["g1", "g2"])
+        one = live.where("first_o = last_o").withColumn("w", F.expr(f"substring(around, before - first_o + 1, {window})"))
+        twice = one.groupBy("g1", "g2", "w").agg((F.sum(F.col("flag").cast("int")) + F.count("*")).alias("c")).where("c > 1").select("g1", "g2", "w")
+        windows.append(one.join(twice, ["g1", "g2", "w"]).select("k1", "k2", (F.col("pos") - F.col("first_o")).alias("lo"), (F.col("pos") - F.col("first_o") + window).alias("hi")))
+        parts.append(live.where(f"first_o < last_o and n <= {PART}").select(*AROUND))
+        big = live.where(f"first_o < last_o and n > {PART}").select(*AROUND)
+        if big.isEmpty():
+            return reduce(DataFrame.unionByName, parts), reduce(DataFrame.unionByName, windows)
+
+
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     out: list[tuple[int, int]] = []
     for lo, hi in sorted(spans):
@@ -286,23 +325,27 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     carried = F.struct(F.col(id_col).alias("id"), *[F.col(c).alias(f"c{i}") for i, c in enumerate(carry)])
     keyed = docs.select(carried.alias("id"), body.alias("body"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("k1"), F.xxhash64(F.lit(7), F.col(text_col), F.col(id_col)).alias("k2"))
     found = keyed.select("k1", "k2", "body").mapInArrow(_find_anchors(window, gram), ROWS)
-    met = checkpoint(found.repartition("h").sortWithinPartitions("h", "ctx").mapInArrow(_meet, ROWS))
-
-    wanted = met.where(F.col("kind") == WANTED)
-    hot = broadcast_if_small(checkpoint(wanted.groupBy("h").count().where(F.col("count") > HOT).select("h", F.lit(True).alias("hot"))))
-    lo = F.greatest(F.col("pos") - reach, F.lit(0))
-    around = wanted.join(hot, "h", "left").join(keyed, ["k1", "k2"]).select("h", "ctx", "k1", "k2", "pos", "flag", "hot", (F.col("pos") - lo).alias("before"), F.expr(f"substring(body, cast(greatest(pos - {reach}, 0) + 1 as int), cast(pos + {window} - greatest(pos - {reach}, 0) as int))").alias("around"), F.col("id").isNotNull().alias("there"))
-    plain = around.where("hot is null and there").select("h", "ctx", "k1", "k2", "pos", "flag", F.col("before").cast("int"), "around")
-    partly = plain.repartition("h").sortWithinPartitions("h", "ctx").mapInArrow(_compare(window, reach), SPANS)
-
-    windows = around.where("hot and there").dropDuplicates(["h", "ctx"]).select("h", "k1", "k2", "pos", "before", "around", F.explode(F.expr(f"sequence(0, {reach})")).alias("o")).where(f"o <= before and length(around) >= before - o + {window}")
-    # equal windows have their anchor at the same offset; a place met from two anchors is not a repeat of itself
-    part = F.expr(f"substring(around, cast(before - o + 1 as int), {window})")
-    counted = windows.select(F.lit(ANCHOR).cast("byte").alias("kind"), F.xxhash64("h", "o", part).alias("h"), F.xxhash64(F.lit(11), "h", "o", part).alias("ctx"), "k1", "k2", (F.col("pos") - F.col("o")).alias("pos"), F.lit(False).alias("flag"))
-    many = counted.repartition("h").sortWithinPartitions("h", "ctx").mapInArrow(_meet, ROWS).where(F.col("kind") == WHOLE).select("k1", "k2", F.col("pos").alias("lo"), (F.col("pos") + window).alias("hi"))
-
-    whole = met.where(F.col("kind") == WHOLE).select("k1", "k2", (F.col("pos") - reach).alias("lo"), (F.col("pos") + window).alias("hi"))
-    spans = whole.union(partly).union(many).groupBy("k1", "k2").agg(F.collect_set(F.struct("lo", "hi")).alias("s"))
+    met = checkpoint(found.repartition("h").sortWithinPartitions("h").mapInArrow(_meet, ROWS))
+
+    wanted = met.where(F.col("kind") == ANCHOR)
+    near = F.expr(f"substring(body, cast(greatest(pos - {reach}, 0) + 1 as int), cast(pos + {window} - greatest(pos - {reach}, 0) as int))")
+
+    def around(places: DataFrame) -> DataFrame:
+        # all columns of keyed are read, as in the last join, so that one exchange of the texts serves both
+        return places.join(keyed, ["k1", "k2"]).select(F.col("h").alias("g1"), F.lit(0).cast("long").alias("g2"), "k1", "k2", "pos", "flag", F.lit(0).alias("first_o"), F.lit(reach).alias("last_o"), F.least("pos", F.lit(reach)).cast("int").alias("before"), near.alias("around"), F.xxhash64("id").alias("tag"))
+
+    big = checkpoint(wanted.groupBy("h").count().where(F.col("count") > PART).select("h"))
+    whole = met.where(F.col("kind") == WHOLE).select("k1", "k2", F.greatest(F.col("pos") - reach, F.lit(0)).alias("lo"), (F.col("pos") + window).alias("hi"))
+    if big.isEmpty():
+        plain, spans = around(wanted), whole
+    else:
+        few = broadcast_if_small(big)
+        of_big = checkpoint(wanted.join(few, "h", "left_semi"))
+        parts, windows = _split(saved(around(broadcast_if_small(of_big))), window)
+        plain, spans = around(wanted.join(few, "h", "left_anti")).unionByName(parts), whole.union(windows)
+    partly = plain.repartition("g1", "g2").sortWithinPartitions("g1", "g2").mapInArrow(_compare(window), SPANS)
+    spans = spans.union(partly)
+    spans = spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("lo", "hi")).alias("s"))
     kind = keyed.schema["id"].dataType.simpleString()
     cut = keyed.join(spans, ["k1", "k2"], "left").select("id", "body", "s.lo", "s.hi").mapInArrow(_cut(kind, id_col), f"id {kind}, n_bytes long, n_removed long, n_spans long, starts array<long>, ends array<long>, kept_sha256 string, kept_text string")
     return cut.select(F.col("id.id").alias(id_col), *[F.col(f"id.c{i}").alias(c) for i, c in enumerate(carry)], "n_bytes", "n_removed", "n_spans", "starts", "ends", "kept_sha256", "kept_text")
@@ -311,3 +354,16 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return remove_repeats(docs).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
+#: DuckDB SQL for op6_suffix_dedup: every string of 200 bytes, by its MD5.
+OP6_SQL = """
+with d as materialized (select row_number() over () n, doc_id, encode(coalesce(text, '')) b from documents)
+, s as (select n, i, md5(array_slice(b, i + 1, i + 200)) m from d, unnest(range(0, octet_length(b) - 199)) r(i))
+, t as (select n, i from (select n, i, count(*) over (partition by m) c from s) where c > 1)
+, g as (select n, i, sum(case when i <= p + 200 then 0 else 1 end) over (partition by n order by i) k from (select n, i, lag(i) over (partition by n order by i) p from t))
+, r as (select n, k, min(i) lo, max(i) + 200 hi from g group by n, k)
+, e as (select n, lo, hi, coalesce(lag(hi) over (partition by n order by lo), 0) since from r)
+, x as (select n, sum(hi - lo)::bigint n_removed, count(*) n_spans, max(hi) upto, string_agg(hex(array_slice(b, since + 1, lo)), '' order by lo) head from e join d using (n) group by n)
+select doc_id, octet_length(b)::bigint n_bytes, coalesce(n_removed, 0)::bigint n_removed, coalesce(n_spans, 0)::bigint n_spans, sha256(unhex(coalesce(head, '') || hex(array_slice(b, (coalesce(upto, 0) + 1)::bigint, octet_length(b))))) kept_sha256 from d left join x using (n)
+"""

@@ -112,26 +112,27 @@ def deep_shallow_order(strings: list[bytes], group: np.ndarray, width: int, shal
     return order, lcp
 
 
-def repeated_windows(left: list[bytes], right: list[bytes], group: np.ndarray, window: int, reach: int) -> tuple[np.ndarray, np.ndarray]:
-    """For each place, the least and greatest offset 0..reach at which the window around it occurs elsewhere in its group; -1 if none.
+def repeated_windows(left: list[bytes], right: list[bytes], group: np.ndarray, window: int, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each place, the least and greatest offset first..last at which the window around it occurs elsewhere in its group; -1 if none.
 
     left: the bytes before the place, nearest first; right: those from the place on. The
     window at offset o takes o bytes before the place and window - o from it.
     """
     n = len(left)
+    reach = int(last.max())
     n_left, n_right = np.fromiter(map(len, left), np.int64, n), np.fromiter(map(len, right), np.int64, n)
     by_r, lcp_r = deep_shallow_order(right, group, window)
     by_l, lcp_l = deep_shallow_order(left, group, reach)
     least, most = np.full(n, -1, np.int64), np.full(n, -1, np.int64)
     a, b = np.empty(n, np.int64), np.empty(n, np.int64)
-    for o in range(reach + 1):
+    for o in range(int(first.min()), reach + 1):
         a[by_r] = np.cumsum(lcp_r < window - o)
         if o:
             b[by_l] = np.cumsum(lcp_l < o)
             key = a * (n + 1) + b
         else:
             key = a * (n + 1) + group_ids(group)
-        fits = np.flatnonzero((n_left >= o) & (n_right >= window - o))
+        fits = np.flatnonzero((n_left >= o) & (n_right >= window - o) & (first <= o) & (o <= last))
         if len(fits) < 2:
             continue
         k = key[fits]

@@ -200,12 +200,12 @@ def brute_repeats(texts, window=200):
     return [(len(b), int(g.sum()), int((np.diff(np.concatenate([[0], g.astype(int)])) == 1).sum()), hashlib.sha256(bytes(np.frombuffer(b, np.uint8)[~g])).hexdigest()) for b, g in zip(data, gone, strict=True)]
 
 
-@pytest.mark.parametrize("hot", [20_000, 1])
-def test_repeats(docs, rows, empty, hot, monkeypatch):
-    monkeypatch.setattr(suffix_dedup, "HOT", hot)
+@pytest.mark.parametrize("part", [8192, 1])
+def test_repeats(docs, rows, empty, part, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "PART", part)
     got = Counter((r["doc_id"], r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffix_dedup.remove_repeats(docs).collect())
     assert got == Counter((r[0], *b) for r, b in zip(rows, brute_repeats([r[1] for r in rows]), strict=True))
-    if hot > 1:
+    if part > 1:
         assert suffix_dedup.remove_repeats(empty).count() == 0
 
 
