@@ -120,6 +120,7 @@ def repeated_windows(left: list[bytes], right: list[bytes], group: np.ndarray, w
     """
     n = len(left)
     reach = int(last.max())
+    left = [x[:reach] for x in left]
     n_left, n_right = np.fromiter(map(len, left), np.int64, n), np.fromiter(map(len, right), np.int64, n)
     by_r, lcp_r = deep_shallow_order(right, group, window)
     by_l, lcp_l = deep_shallow_order(left, group, reach)
