@@ -35,9 +35,10 @@ from rasterchain.llm.common import broadcast_if_small, checkpoint, saved, text_o
 from rasterchain.llm.suffix_sort import repeated_windows
 
 CHUNK = 1 << 19
-FLUSH = 1 << 20
-#: Surroundings of one anchor that one task sorts at once; larger groups are split by their bytes.
-PART = 8192
+#: Bytes of text whose anchors a task compares at once.
+FLUSH = 24 << 20
+#: Surroundings of one anchor that one task sorts at once, about 1 KB each; larger groups are split by their bytes.
+PART = 32_768
 NEVER = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -134,7 +135,7 @@ def _find_anchors(window: int, gram: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
         kept: list[np.ndarray] = []
-        count = size_held = 0
+        size_held = 0
         for b in batches:
             k1, k2 = b.column(0).to_numpy(), b.column(1).to_numpy()
             texts = b.column(2)
@@ -151,16 +152,17 @@ def _find_anchors(window: int, gram: int):
                 held.append((h, ctx, k1[at:to][t], k2[at:to][t], pos, first + size_held, n))
                 kept.append(flat)
                 size_held += len(flat)
-                count += len(t)
                 at = to
-                if count >= FLUSH:
+                if size_held >= FLUSH:
                     yield from flush(held, kept)
-                    held, kept, count, size_held = [], [], 0, 0
-        if count:
+                    held, kept, size_held = [], [], 0
+        if size_held:
             yield from flush(held, kept)
 
     def flush(held: list[tuple], kept: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         h, ctx, k1, k2, pos, begin, n = (np.concatenate(x) for x in zip(*held, strict=True))
+        if not len(h):
+            return
         by = np.lexsort((ctx, h))
         h, ctx, k1, k2, pos, begin, n = (x[by] for x in (h, ctx, k1, k2, pos, begin, n))
         first = np.concatenate([[True], (h[1:] != h[:-1]) | (ctx[1:] != ctx[:-1]) | (n[1:] != n[:-1])])
