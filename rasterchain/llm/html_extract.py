@@ -41,7 +41,7 @@ APART_ROLE = frozenset("navigation banner contentinfo complementary search dialo
 TAG = re.compile(r"[a-zA-Z][^\s/>]*")
 #: What ends a tag, or begins a quoted value within it.
 STOP = re.compile(r">|=\s*([\"'])")
-LONG_REFERENCE = re.compile(r"&#0*([0-9]{8,});?")
+LONG_REFERENCE = re.compile(r"&#0*[1-9][0-9]{7,};?")
 NAMES = re.compile(r"(?i)(?:^|\s)(class|id|role|hidden|style|aria-hidden)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
 PUNCTUATION = re.compile(r"[.,;:!?。，、；：！？]")
 SPACES = re.compile(r"\s+")
