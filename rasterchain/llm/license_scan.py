@@ -8,7 +8,8 @@ temperature fitted on held-out variants calibrates its probabilities; a paragrap
 likeliest class is unknown, or whose probability is low, stays unknown. A prediction counts
 only if the paragraph's word pairs also agree with the family's notices. Paragraphs are read
 whole and by the stretches of their sentences that run along with the notices, so that prose
-around a notice, or a second notice, hides none of them.
+around a notice, or a second notice, hides none of them; sentences that are wrapped over the
+lines of a block (between empty lines) are read across its lines.
 
 Features hold at least one telling word, a word of the notices that is rare in the sample.
 So texts without a telling word need no scoring: they have no feature at all.
@@ -27,8 +28,8 @@ from pyspark.sql import functions as F
 
 from rasterchain.llm.common import text_or_empty
 
-#: Paragraphs of the corpus that the classifier is trained on, at most.
-SAMPLE = 1000
+#: Texts, and paragraphs of theirs, that the classifier is trained on, at most.
+SAMPLE_TEXTS, SAMPLE = 250, 1000
 #: A word in more than this share of the sampled paragraphs tells nothing.
 COMMON = 0.01
 #: Calibrated probability, and share of a paragraph's word pairs that the notices have, at least.
@@ -103,35 +104,39 @@ def variants(seed: int = 3, each: int = 24) -> list[tuple[str, list[str]]]:
     return out
 
 
-def train(sample: list[str], seed: int = 3, rounds: int = 400) -> dict:
-    """classes, telling words, features with their weights, bias and temperature."""
+#: What the classifier can see of a paragraph: words and word pairs that notices have.
+KNOWN = frozenset(w for notices in NOTICES.values() for n in notices for w in words_of(n))
+KNOWN_PAIRS = frozenset(f"{a} {b}" for notices in NOTICES.values() for n in notices for a, b in pairwise(words_of(n)))
+
+
+def evidence(words: list[str]) -> tuple[set[str], set[str]]:
+    return set(words) & KNOWN, {f"{a} {b}" for a, b in pairwise(words)} & KNOWN_PAIRS
+
+
+def train(sample: list[str] | list[tuple[set[str], set[str]]], seed: int = 3, rounds: int = 400) -> dict:
+    """classes, telling words, features with their weights, bias and temperature. sample: paragraphs, or their evidence."""
     rng = random.Random(seed)
-    negative = [words_of(p) for p in sample]
+    found = [evidence(words_of(p)) if isinstance(p, str) else p for p in sample]
     # licence paragraphs of the sample itself are no examples of unknown ones
-    pairs = {p for notices in NOTICES.values() for n in notices for p in pairwise(words_of(n))}
-    negative = [w for w in negative if sum(p in pairs for p in pairwise(w)) < 3]
-    known = {w for notices in NOTICES.values() for n in notices for w in words_of(n)}
+    negative = [(w, p) for w, p in found if len(p) < 3] or [(set(), set())]
     df: dict[str, int] = {}
-    for w in negative:
-        for x in set(w) & known:
+    for words, _ in negative:
+        for x in words:
             df[x] = df.get(x, 0) + 1
     stop = set("the of and to in a is it or not with for on an any may this that be by as at from are all you can if".split())
-    telling = {w for w in known - stop if df.get(w, 0) <= COMMON * len(negative)}
+    telling = {w for w in KNOWN - stop if df.get(w, 0) <= COMMON * len(negative)}
     classes = [*NOTICES, UNKNOWN]
-    rows = [(classes.index(f), w) for f, w in variants(seed)]
+    rows = [(classes.index(f), features_of(w, telling)) for f, w in variants(seed)]
+    vocabulary = {f: k for k, f in enumerate(sorted(set().union(*(f for _, f in rows))))}
     some = sorted(telling)
-    for w in negative or [["lorem", "ipsum"]]:
-        rows.append((len(classes) - 1, w))
-    for _ in range(300):  # stray licence words, alone or in other company
-        w = list(rng.choice(negative))[:30] if negative else ["lorem", "ipsum"]
-        for _ in range(rng.randint(1, 3)):
-            w.insert(rng.randint(0, len(w)), rng.choice(some))
-        rows.append((len(classes) - 1, w))
+    seen = [(words & telling) | {p for p in pairs if telling & set(p.split())} for words, pairs in negative]
+    rows += [(len(classes) - 1, f) for f in seen]
+    # stray licence words, alone or in other company
+    rows += [(len(classes) - 1, rng.choice(seen) | {rng.choice(some) for _ in range(rng.randint(1, 3))}) for _ in range(300)]
     rng.shuffle(rows)
-    vocabulary = {f: k for k, f in enumerate(sorted({f for c, w in rows if c < len(classes) - 1 for f in features_of(w, telling)}))}
     x = np.zeros((len(rows), len(vocabulary)))
-    for r, (_, w) in enumerate(rows):
-        for f in features_of(w, telling):
+    for r, (_, features) in enumerate(rows):
+        for f in features:
             if f in vocabulary:
                 x[r, vocabulary[f]] = 1
     y = np.eye(len(classes))[[c for c, _ in rows]]
@@ -153,16 +158,18 @@ def _softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(1, keepdims=True)
 
 
-def sampled_paragraphs(docs: DataFrame, text_col: str) -> list[str]:
-    """The paragraphs of the texts with the least hashes, SAMPLE at most."""
+def sampled_paragraphs(docs: DataFrame, text_col: str) -> list[tuple[set[str], set[str]]]:
+    """Evidence of the paragraphs of the texts with the least hashes, SAMPLE at most. Whole paragraphs are read; what is gathered of each is bounded by the notices."""
     hashed = docs.where(F.col(text_col).isNotNull()).select(F.xxhash64(text_col).alias("_h"), F.col(text_col).alias("_text"))
     # hashes are compared first, so that no task gathers texts that will not be taken
-    least = hashed.select("_h").distinct().orderBy("_h").limit(SAMPLE // 4).agg(F.max("_h")).first()[0]
+    least = hashed.select("_h").distinct().orderBy("_h").limit(SAMPLE_TEXTS).agg(F.max("_h")).first()[0]
     if least is None:
         return []
     few = hashed.where(F.col("_h") <= F.lit(least)).dropDuplicates(["_h"])
-    lines = few.select(F.explode(F.split("_text", "\n")).alias("p")).where("length(p) > 0").select(F.substring("p", 1, 2000).alias("p")).orderBy(F.xxhash64("p")).limit(SAMPLE)
-    return [r["p"] for r in lines.collect()]
+    w = few.select(F.explode(F.split("_text", "\n")).alias("p")).where("length(p) > 0").select(F.xxhash64("p").alias("h"), _words(F.col("p")).alias("w"))
+    known, pairs = (F.array(*[F.lit(x) for x in sorted(k)]) for k in (KNOWN, KNOWN_PAIRS))
+    lines = w.select("h", F.array_intersect("w", known).alias("w"), F.array_intersect(_pairs("w"), pairs).alias("p")).orderBy("h").limit(SAMPLE)
+    return [(set(r["w"]), set(r["p"])) for r in lines.collect()]
 
 
 def _stretches(two: Column, known: Column) -> Column:
@@ -191,7 +198,8 @@ def _words(text: Column) -> Column:
 def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, families array<string>, paragraphs array of (at, family, probability, agreement)), one row per input row.
 
-    Paragraphs are the lines of a text, counted from 0. Only predicted and confirmed ones are
+    Paragraphs are the lines of a text, counted from 0; for a sentence that is wrapped over lines,
+    the first line of its block. Only predicted and confirmed ones are
     listed, one of each family a line; families are sorted and distinct, and empty if there are none, as for null or
     empty texts. Repeated rows give repeated rows. Without a model, one is trained on docs.
     """
@@ -207,29 +215,38 @@ def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", tex
     telling = F.array(*[F.lit(w) for w in model["telling"]])
     key = F.xxhash64(F.col(id_col), F.col(text_col))
     rows = docs.select(F.col(id_col).alias("_id"), key.alias("_key"), text.alias("_text"))
-    some = rows.where(F.arrays_overlap(F.split(F.lower("_text"), "[^a-z0-9]+"), telling))
-    lines = some.withColumn("_n", F.monotonically_increasing_id()).select("_id", "_key", "_n", F.posexplode(F.split("_text", "\n")).alias("at", "line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling))
-    known = F.array(*[F.lit(p) for p in sorted({f"{a} {b}" for notices in NOTICES.values() for n in notices for a, b in pairwise(words_of(n))})])
-    sentences = lines.select("_id", "_key", "_n", "at", F.explode(F.split("line", r"(?<=[.!?])\s+")).alias("line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling)).withColumn("two", _pairs("w"))
-    parts = sentences.select("_id", "_key", "_n", "at", "w", F.explode(_stretches(F.col("two"), known)).alias("s")).select("_id", "_key", "_n", "at", F.expr("slice(w, s.a + 1, s.b - s.a + 2)").alias("w"))
-    # words of a part tell it from others of its line; equal ones are one
-    lines = lines.drop("line").unionByName(parts).withColumn("part", F.xxhash64("w")).dropDuplicates(["_id", "_key", "_n", "at", "part"])
+    some = rows.where(F.arrays_overlap(F.split(F.lower("_text"), "[^a-z0-9]+"), telling)).withColumn("l", F.split("_text", "\n"))
+    starts = F.expr("filter(sequence(0, size(l) - 1), i -> i = 0 or trim(l[i - 1]) = '')")
+    blocks = some.withColumn("s", starts).select("_id", "_key", F.explode(F.expr("transform(s, (x, j) -> struct(x as block, slice(l, x + 1, coalesce(get(s, j + 1), size(l)) - x) as l))")).alias("b"))
+    blocks = blocks.select("_id", "_key", "b.block", "b.l").where(F.exists("l", lambda x: F.arrays_overlap(_words(x), telling)))
+    known = F.array(*[F.lit(p) for p in sorted(KNOWN_PAIRS)])
+    # lines with their sentences, and sentences that run over several lines
+    by_line = F.transform("l", lambda x, i: F.struct((F.col("block") + i).alias("at"), F.lit(False).alias("wrapped"), x.alias("line")))
+    over_lines = F.transform(F.filter(F.split(F.array_join("l", "\n"), r"(?<=[.!?])\s+"), lambda x: x.contains("\n")), lambda x: F.struct(F.col("block").alias("at"), F.lit(True).alias("wrapped"), x.alias("line")))
+    lines = blocks.select("_id", "_key", "block", F.explode(F.concat(by_line, over_lines)).alias("x")).select("_id", "_key", "block", "x.*").withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling))
+    sentences = lines.select("_id", "_key", "block", "at", "wrapped", F.explode(F.when(F.col("wrapped"), F.array("line")).otherwise(F.split("line", r"(?<=[.!?])\s+"))).alias("line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling)).withColumn("two", _pairs("w"))
+    parts = sentences.select("_id", "_key", "block", "at", "wrapped", "w", F.explode(_stretches(F.col("two"), known)).alias("s")).select("_id", "_key", "block", "at", "wrapped", F.expr("slice(w, s.a + 1, s.b - s.a + 2)").alias("w"))
+    place = ["_id", "_key", "block", "at", "wrapped", "part"]
+    # words of a part tell it from others of its line; equal ones, and those of repeated rows, are one
+    lines = lines.where("not wrapped").drop("line").unionByName(parts).withColumn("part", F.xxhash64("w")).dropDuplicates(place)
     lines = lines.withColumn("two", _pairs("w"))
-    each = lines.select("_id", "_key", "_n", "at", "part", F.array_distinct("two").alias("two"), F.explode(F.array_distinct(F.concat("w", "two"))).alias("f"))
+    each = lines.select(*place, F.array_distinct("two").alias("two"), F.explode(F.array_distinct(F.concat("w", "two"))).alias("f"))
     sums = [F.sum(F.col("w")[k]).alias(f"s{k}") for k in range(len(classes))]
-    scored = each.join(F.broadcast(weights), "f").groupBy("_id", "_key", "_n", "at", "part").agg(F.first("two").alias("two"), *sums)
+    scored = each.join(F.broadcast(weights), "f").groupBy(*place).agg(F.first("two").alias("two"), *sums)
     t = model["temperature"]
     z = F.array(*[(F.col(f"s{k}") + F.lit(model["bias"][k])) / F.lit(t) for k in range(len(classes))])
     names = F.array(*[F.lit(c) for c in classes])
     templates = F.create_map(*[y for c, notices in NOTICES.items() for y in (F.lit(c), F.array(*[F.lit(p) for p in sorted({f"{a} {b}" for n in notices for a, b in pairwise(words_of(n))})]))])
     best = scored.withColumn("z", z).withColumn("top", F.array_max("z")).withColumn("family", F.element_at(names, F.array_position("z", F.col("top")).cast("int"))).withColumn("probability", 1 / F.aggregate("z", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("top"))))
     sure = best.where((F.col("family") != UNKNOWN) & (F.col("probability") >= SURE))
-    shared = F.size(F.array_intersect("two", F.element_at(templates, F.col("family"))))
-    confirmed = sure.withColumn("agreement", F.when(F.size("two") > 0, shared / F.size("two")).otherwise(F.lit(0.0))).where(F.col("agreement") >= AGREE)
-    confirmed = confirmed.groupBy("_id", "_key", "_n", "at", "family").agg(F.max("probability").alias("probability"), F.max("agreement").alias("agreement"))
-    item = F.struct("at", "family", F.round("probability", 6).alias("probability"), F.round("agreement", 6).alias("agreement"))
-    # rows that repeat an id and a text have the same paragraphs
-    found = confirmed.groupBy("_id", "_key", "_n").agg(F.sort_array(F.collect_list(item)).alias("paragraphs")).groupBy("_id", "_key").agg(F.first("paragraphs").alias("paragraphs")).withColumnsRenamed({"_id": "_of", "_key": "_with"})
+    sure = sure.withColumn("hits", F.array_intersect("two", F.element_at(templates, F.col("family"))))
+    confirmed = sure.withColumn("agreement", F.when(F.size("two") > 0, F.size("hits") / F.size("two")).otherwise(F.lit(0.0))).where(F.col("agreement") >= AGREE)
+    item = F.struct("at", "family", "probability", "agreement", "hits", "two")
+    in_block = confirmed.groupBy("_id", "_key", "block").agg(F.collect_list(F.when(~F.col("wrapped"), item)).alias("own"), F.collect_list(F.when(F.col("wrapped"), item)).alias("over"))
+    # a line that shows nothing but what a sentence around it shows is a piece of that sentence
+    kept = F.concat(F.filter("own", lambda o: ~F.exists("over", lambda v: F.size(F.array_except(o["hits"], v["two"])) == 0)), F.col("over"))
+    each_line = in_block.select("_id", "_key", F.explode(kept).alias("p")).groupBy("_id", "_key", "p.at", "p.family").agg(F.round(F.max("p.probability"), 6).alias("probability"), F.round(F.max("p.agreement"), 6).alias("agreement"))
+    found = each_line.groupBy("_id", "_key").agg(F.sort_array(F.collect_list(F.struct("at", "family", "probability", "agreement"))).alias("paragraphs")).withColumnsRenamed({"_id": "_of", "_key": "_with"})
     out = rows.select("_id", "_key").join(found, F.col("_id").eqNullSafe(F.col("_of")) & (F.col("_key") == F.col("_with")), "left")
     none = F.array().cast("array<struct<at: int, family: string, probability: double, agreement: double>>")
     return out.select(F.col("_id").alias(id_col), F.coalesce("paragraphs", none).alias("paragraphs")).select(id_col, F.array_sort(F.array_distinct(F.col("paragraphs.family"))).alias("families"), "paragraphs")
