@@ -172,19 +172,23 @@ def sampled_paragraphs(docs: DataFrame, text_col: str) -> list[tuple[set[str], s
     return [(set(r["w"]), set(r["p"])) for r in lines.collect()]
 
 
-def _stretches(two: Column, known: Column) -> Column:
-    """Arrays (first, last) of the runs of two along the pairs that known has, counted from 0."""
-    some = F.array_intersect(two, known)
-    at = F.filter(F.transform(two, lambda x, i: F.when(F.array_contains(some, x), i)), lambda i: i.isNotNull())
-    none = F.array().cast("array<struct<a: int, b: int, n: int>>")
-    run = lambda a, b, n: F.struct(a.alias("a"), b.alias("b"), n.cast("int").alias("n"))
+def _held(df: DataFrame, name: str) -> DataFrame:
+    """df, with a column that comes out of a generator: no filter on it is pushed below."""
+    return df.withColumn("_m", F.explode(F.array(F.struct(name)))).withColumn(name, F.col(f"_m.{name}")).drop("_m")
 
-    def take(acc: Column, i: Column) -> Column:
-        last = F.element_at(acc, -1)
-        joins = (F.size(acc) > 0) & (i - F.get(acc, F.size(acc) - 1)["b"] <= GAP)
-        return F.when(joins, F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(run(last["a"], i, last["n"] + 1)))).otherwise(F.concat(acc, F.array(run(i, i, F.lit(1)))))
 
-    return F.filter(F.aggregate(at, none, take), lambda x: x["n"] >= LEAST)
+def _stretches(sentences: DataFrame, known: Column) -> DataFrame:
+    """sentences (with pairs in two) with s: (a, b, n), first and last pair, from 0, and number of pairs of each run along the pairs that known has.
+
+    Each step is a column that is named twice in the next, as what is named once, within a lambda, would be worked out anew for every element. For
+    the same reason nothing filters by a step: the filter would be pushed below it with all steps put into each other.
+    """
+    steps = sentences.withColumn("_some", F.array_intersect("two", known))
+    steps = steps.withColumn("_at", F.expr("if(size(_some) = 0, array(), filter(transform(two, (x, i) -> if(array_contains(_some, x), i, -1)), i -> i >= 0))"))
+    steps = steps.withColumn("_begin", F.expr(f"filter(transform(_at, (x, i) -> if(i = 0 or x - _at[i - 1] > {GAP}, i, -1)), i -> i >= 0)"))
+    steps = steps.withColumn("s", F.expr("transform(_begin, (i, k) -> struct(i as i, coalesce(get(_begin, k + 1), size(_at)) - 1 as j))"))
+    runs = F.expr(f"filter(transform(s, x -> struct(_at[x.i] as a, _at[x.j] as b, x.j - x.i + 1 as n)), x -> x.n >= {LEAST})")
+    return _held(steps.withColumn("s", runs).drop("_some", "_at", "_begin"), "s")
 
 
 def _pairs(w: str) -> Column:
@@ -217,7 +221,8 @@ def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", tex
     rows = docs.select(F.col(id_col).alias("_id"), key.alias("_key"), text.alias("_text"))
     some = rows.where(F.arrays_overlap(F.split(F.lower("_text"), "[^a-z0-9]+"), telling)).withColumn("l", F.split("_text", "\n"))
     starts = F.expr("filter(sequence(0, size(l) - 1), i -> i = 0 or trim(l[i - 1]) = '')")
-    blocks = some.withColumn("s", starts).select("_id", "_key", F.explode(F.expr("transform(s, (x, j) -> struct(x as block, slice(l, x + 1, coalesce(get(s, j + 1), size(l)) - x) as l))")).alias("b"))
+    cut = F.expr("transform(s, (x, j) -> struct(x as block, slice(l, x + 1, coalesce(get(s, j + 1), size(l)) - x) as l))")
+    blocks = _held(some.withColumn("s", starts).withColumn("b", cut), "b").select("_id", "_key", F.explode("b").alias("b"))
     blocks = blocks.select("_id", "_key", "b.block", "b.l").where(F.exists("l", lambda x: F.arrays_overlap(_words(x), telling)))
     known = F.array(*[F.lit(p) for p in sorted(KNOWN_PAIRS)])
     # lines with their sentences, and sentences that run over several lines
@@ -225,7 +230,7 @@ def scan(docs: DataFrame, model: dict | None = None, id_col: str = "doc_id", tex
     over_lines = F.transform(F.filter(F.split(F.array_join("l", "\n"), r"(?<=[.!?])\s+"), lambda x: x.contains("\n")), lambda x: F.struct(F.col("block").alias("at"), F.lit(True).alias("wrapped"), x.alias("line")))
     lines = blocks.select("_id", "_key", "block", F.explode(F.concat(by_line, over_lines)).alias("x")).select("_id", "_key", "block", "x.*").withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling))
     sentences = lines.select("_id", "_key", "block", "at", "wrapped", F.explode(F.when(F.col("wrapped"), F.array("line")).otherwise(F.split("line", r"(?<=[.!?])\s+"))).alias("line")).withColumn("w", _words(F.col("line"))).where(F.arrays_overlap("w", telling)).withColumn("two", _pairs("w"))
-    parts = sentences.select("_id", "_key", "block", "at", "wrapped", "w", F.explode(_stretches(F.col("two"), known)).alias("s")).select("_id", "_key", "block", "at", "wrapped", F.expr("slice(w, s.a + 1, s.b - s.a + 2)").alias("w"))
+    parts = _stretches(sentences, known).select("_id", "_key", "block", "at", "wrapped", "w", F.explode("s").alias("s")).select("_id", "_key", "block", "at", "wrapped", F.expr("slice(w, s.a + 1, s.b - s.a + 2)").alias("w"))
     place = ["_id", "_key", "block", "at", "wrapped", "part"]
     # words of a part tell it from others of its line; equal ones, and those of repeated rows, are one
     lines = lines.where("not wrapped").drop("line").unionByName(parts).withColumn("part", F.xxhash64("w")).dropDuplicates(place)
