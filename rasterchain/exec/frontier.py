@@ -17,7 +17,8 @@ from pyspark.sql import functions as F
 from rasterchain import dtypes
 from rasterchain import kernels as K
 from rasterchain.chain import Chain
-from rasterchain.exec.rounds import ABOVE, BELOW, run_chain, saved
+from rasterchain.exec.rounds import ABOVE, BELOW, run_chain
+from rasterchain.exec.saving import saved
 from rasterchain.layout import STRIP, STRIP_ARROW, array_of
 
 #: above and below: the neighbours' edge rows as last heard; up and down: whether the own edge rows changed.

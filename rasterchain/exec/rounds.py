@@ -7,8 +7,6 @@ grow and lost executors cost one round at most.
 
 from __future__ import annotations
 
-import os
-import tempfile
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -19,6 +17,7 @@ from pyspark.sql import functions as F
 from rasterchain import dtypes
 from rasterchain import kernels as K
 from rasterchain.chain import Chain, apply
+from rasterchain.exec.saving import saved, shared_folder
 from rasterchain.layout import STRIP, STRIP_ARROW, array_of
 
 #: last: the last filter of the round that changed the strip's own rows, 0 if none did.
@@ -29,14 +28,6 @@ MESSAGE_ARROW = pa.schema([("img", pa.int64()), ("strip", pa.int32()), ("side",
 ABOVE, BELOW = 0, 1
 
 
-def saved(df: DataFrame) -> DataFrame:
-    """Written to the shared checkpoint folder; one of our own only where none is set."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "rasterchain-checkpoints"))
-    return df.checkpoint()
-
-
 def edges(state: DataFrame, k: int) -> DataFrame:
     """The first and last k rows of each strip, addressed to its neighbours. Strips have k rows at least, but for the last."""
 
@@ -94,7 +85,7 @@ def run_chain(strips: DataFrame, chain: Chain, per_round: int) -> DataFrame:
 def until_stable(strips: DataFrame, by: str = "dilation", per_round: int = 8, cap: int = 100_000) -> tuple[DataFrame, DataFrame]:
     """Reconstruction of payload under (over) mask: strips, and (img, chain_len) as a synchronous run counts it.
 
-    Strips of images that have settled leave the rounds. Raises beyond cap filters; a
+    Strips of images that have settled leave the rounds for a table in the shared folder, so the plan does not grow. Raises beyond cap filters; a
     result is never cut short.
     """
     lo = K.MAX if by == "dilation" else K.MIN
@@ -108,22 +99,22 @@ def until_stable(strips: DataFrame, by: str = "dilation", per_round: int = 8, ca
             whole = new
         return whole[top : top + h], last
 
-    state, finished, lengths, done = saved(strips.withColumn("last", F.lit(0))), None, None, 0
+    state, done = saved(strips.withColumn("last", F.lit(0))), 0
+    spark, folder = strips.sparkSession, shared_folder(strips.sparkSession, "rounds")
+    add = lambda df, name: df.write.mode("append").parquet(f"{folder}/{name}")
+    add(state.drop("last").limit(0), "strips")
     while True:
         if done > cap:
             raise RuntimeError("the reconstruction did not settle within its cap")
         state = saved(with_edges(state, edges(state, per_round), step))
         # one row an image
         seen = saved(state.groupBy("img").agg(F.max("last").alias("last")))
-        still = seen.where("last > 0").select("img")
-        over = seen.where("last = 0").select("img")
-        moved = seen.select("img", F.when(F.col("last") > 0, F.col("last") + done).otherwise(F.lit(0)).alias("chain_len"))
-        settled = state.join(over, "img", "left_semi").drop("last")
-        finished = settled if finished is None else finished.unionByName(settled)
-        lengths = moved if lengths is None else lengths.unionByName(moved)
+        add(seen.select("img", F.when(F.col("last") > 0, F.col("last") + done).otherwise(F.lit(0)).cast("int").alias("chain_len")), "lengths")
+        still, over = seen.where("last > 0").select("img"), seen.where("last = 0").select("img")
         done += per_round
-        if still.isEmpty():
-            break
         if not over.isEmpty():
+            add(state.join(over, "img", "left_semi").select(*STRIP_ARROW.names), "strips")
             state = saved(state.join(still, "img", "left_semi").select(*STATE_ARROW.names))
-    return finished, lengths.groupBy("img").agg(F.max("chain_len").cast("int").alias("chain_len"))
+        if still.isEmpty():
+            lengths = spark.read.parquet(f"{folder}/lengths").groupBy("img").agg(F.max("chain_len").alias("chain_len"))
+            return spark.read.parquet(f"{folder}/strips"), lengths

@@ -12,6 +12,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from rasterchain import dtypes
+
 Columns = dict[str, np.ndarray]
 
 
@@ -83,14 +85,24 @@ def _numpy(kind: pa.DataType):
 
 
 def reduce_images(df: DataFrame, fn: Callable[[Columns], list[tuple]], out: str) -> DataFrame:
-    """fn from the columns of an image to rows -> (img, out)."""
+    """fn from the columns of an image to rows -> (img, out). Strips that hold whole images are read where they are, without an exchange."""
     names = [c.split()[0] for c in out.split(", ")]
     kinds = [_arrow(c.split()[1]) for c in out.split(", ")]
+    strips = "payload" in df.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for img, columns in images(batches):
+        for img, columns in whole_strips(batches) if strips else images(batches):
             rows = fn(columns)
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array([img] * len(rows), pa.int64()), *(pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True))], names=["img", *names])
 
-    return dealt(df).mapInArrow(run, f"img bigint, {out}")
+    return (df if strips else dealt(df)).mapInArrow(run, f"img bigint, {out}")
+
+
+def whole_strips(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, Columns]]:
+    for b in batches:
+        for row in b.to_pylist():
+            if row["n"] != 1:
+                raise ValueError(f"image {row['img']} has several strips")
+            kind = dtypes.NUMPY[row["dtype"]]
+            yield row["img"], {name: np.frombuffer(row[column], kind).reshape(row["h"], row["w"]) for name, column in (("v", "payload"), ("m", "mask")) if row[column] is not None}

@@ -17,31 +17,38 @@ STRIP = "img bigint, strip int, n int, y0 int, h int, w int, dtype string, paylo
 STRIP_ARROW = pa.schema([("img", pa.int64()), ("strip", pa.int32()), ("n", pa.int32()), ("y0", pa.int32()), ("h", pa.int32()), ("w", pa.int32()), ("dtype", pa.string()), ("payload", pa.binary()), ("mask", pa.binary())])
 
 
+def strip_row(img: int, strip: int, n: int, y0: int, a: np.ndarray, dtype: str, mask: np.ndarray | None = None) -> pa.RecordBatch:
+    """One strip as a batch."""
+    return pa.RecordBatch.from_pylist([{"img": img, "strip": strip, "n": n, "y0": y0, "h": a.shape[0], "w": a.shape[1], "dtype": dtype, "payload": a.tobytes(), "mask": None if mask is None else mask.tobytes()}], schema=STRIP_ARROW)
+
+
 def to_strips(df: DataFrame, rows: int, dtype: str = "i64") -> DataFrame:
     """Pixels (img, y, x, v[, m]) -> strips of so many rows. One shuffle by strip; an image is never in one place."""
     has_mask = "m" in df.columns
-    heights = df.groupBy("img").agg((F.max("y") + 1).alias("height"))
-    n = heights.select("img", F.ceil(F.col("height") / rows).cast("int").alias("n"))
-    # strips are read as images of their own
-    key = F.struct(F.col("img"), F.floor(F.col("y") / rows).cast("int").alias("strip"))
-    cut = df.select(key.alias("key"), (F.col("y") % rows).cast("int").alias("y"), "x", "v", *(["m"] if has_mask else []))
-    dealt = cut.repartition("key").sortWithinPartitions("key", "y", "x")
+    # one row an image
+    n = df.groupBy("img").agg(F.ceil((F.max("y") + 1) / rows).cast("int").alias("n"))
+    cut = df.select("img", F.floor(F.col("y") / rows).cast("int").alias("strip"), (F.col("y") % rows).cast("int").alias("y"), "x", "v", *(["m"] if has_mask else []))
+    dealt = cut.repartition("img", "strip").sortWithinPartitions("img", "strip", "y", "x")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # strips are read as images of their own, numbered in the order of their arrival
+        keys: list[tuple[int, int]] = []
+
         def numbered() -> Iterator[pa.RecordBatch]:
-            # one number for both parts of the key, in the order of arrival
             for b in batches:
-                key = b.column(0)
-                one = key.field(0).to_numpy() * (1 << 24) + key.field(1).to_numpy()
-                yield pa.RecordBatch.from_arrays([pa.array(one), *b.columns[1:]], names=["img", *b.schema.names[1:]])
-
-        for one, c in images(numbered()):
-            img, strip = one >> 24, one & ((1 << 24) - 1)
-            h, w = c["v"].shape
-            yield pa.RecordBatch.from_pylist([{"img": img, "strip": strip, "n": 0, "y0": strip * rows, "h": h, "w": w, "dtype": dtype, "payload": dtypes.checked(c["v"], dtype).tobytes(), "mask": dtypes.checked(c["m"], dtype).tobytes() if has_mask else None}], schema=STRIP_ARROW)
+                if not b.num_rows:
+                    continue
+                img, strip = b.column(0).to_numpy(), b.column(1).to_numpy()
+                new = np.concatenate([[not keys or keys[-1] != (img[0], strip[0])], (img[1:] != img[:-1]) | (strip[1:] != strip[:-1])])
+                number = len(keys) - 1 + np.cumsum(new)
+                keys.extend(zip(img[new].tolist(), strip[new].tolist(), strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(number), *b.columns[2:]], names=["img", *b.schema.names[2:]])
+
+        for number, c in images(numbered()):
+            img, strip = keys[number]
+            yield strip_row(img, strip, 0, strip * rows, dtypes.checked(c["v"], dtype), dtype, dtypes.checked(c["m"], dtype) if has_mask else None)
 
     strips = dealt.mapInArrow(run, STRIP).drop("n")
-    # one row an image
     return strips.join(n, "img").select(*STRIP_ARROW.names)
 
 

@@ -21,6 +21,8 @@ from rasterchain.plans.rewrite import optimize
 
 
 def _kind(df: DataFrame) -> str:
+    if "v" not in df.columns:
+        return "bigint"  # strips of texts
     return "double" if df.schema["v"].dataType.simpleString() in ("double", "float") else "bigint"
 
 

@@ -6,11 +6,16 @@ of counts are made dense with an outer join onto the cells of their frame.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from rasterchain.layout import STRIP, strip_row
+
 Raster = Callable[[SparkSession, str], DataFrame]
 ORIGIN = "1995-01-01"
 
@@ -27,8 +32,11 @@ def pixels(df: DataFrame, img, y, x, v, dtype: str = "bigint") -> DataFrame:
 def densify(cells: DataFrame, frame: DataFrame, fill=0) -> DataFrame:
     """cells (img, y, x, v) on every pixel of frame (img, height, width), absent ones with fill.
 
-    The frame has one row an image; its pixels are made row by row where they are joined.
+    The frame has one row an image; its pixels are made row by row where they are joined. Cells before
+    the frame's origin are an error; frames are as large as their cells need.
     """
+    inside = lambda c: F.when(F.col(c) < 0, F.raise_error(F.lit(f"a cell lies before the frame: {c} below 0")).cast("int")).otherwise(F.col(c))
+    cells = cells.withColumns({"y": inside("y"), "x": inside("x")})
     grid = frame.select("img", "width", F.explode(F.expr("sequence(0, height - 1)")).alias("y")).select("img", "y", F.explode(F.expr("sequence(0, width - 1)")).alias("x"))
     dtype = cells.schema["v"].dataType
     return grid.join(cells, ["img", "y", "x"], "left").select(F.col("img").cast("bigint"), F.col("y").cast("int"), F.col("x").cast("int"), F.coalesce("v", F.lit(fill).cast(dtype)).alias("v"))
@@ -58,13 +66,18 @@ def _frame(cells: DataFrame, height: Column, width: Column) -> DataFrame:
     return cells.groupBy("img").agg(height.cast("int").alias("height"), width.cast("int").alias("width"))
 
 
+def _least(n: int, axis: str) -> Column:
+    """The extent of an axis: n, or more where cells lie beyond."""
+    return F.greatest(F.lit(n), F.max(axis) + 1)
+
+
 def _days(c: str) -> str:
     return f"datediff({c}, date'{ORIGIN}')"
 
 
 def ship_density(spark, d, week: int = 1) -> DataFrame:
     cells = pixels(table(spark, d, "lineitem"), 0, "cast(l_quantity as int) - 1", f"floor({_days('l_shipdate')} / {week})", 1).groupBy("img", "y", "x").agg(F.count("*").alias("v"))
-    return densify(cells, _frame(cells, F.lit(50), F.max("x") + 1))
+    return densify(cells, _frame(cells, _least(50, "y"), F.max("x") + 1))
 
 
 def ship_weekly(spark, d) -> DataFrame:
@@ -77,24 +90,24 @@ def ship_by_region(spark, d) -> DataFrame:
     supp = table(spark, d, "supplier").join(nation, F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "r_regionkey")
     joined = li.join(supp, F.col("l_suppkey") == F.col("s_suppkey"))
     cells = pixels(joined, "r_regionkey", "cast(l_quantity as int) - 1", "12 * (year(l_shipdate) - 1995) + month(l_shipdate) - 1", 1).groupBy("img", "y", "x").agg(F.count("*").alias("v"))
-    return densify(cells, _frame(cells, F.lit(50), F.lit(83)))
+    return densify(cells, _frame(cells, _least(50, "y"), _least(83, "x")))
 
 
 def price_cells(spark, d) -> DataFrame:
     li = table(spark, d, "lineitem")
     img = F.when(F.col("l_returnflag") == "A", 0).when(F.col("l_returnflag") == "N", 1).otherwise(2)
     cells = pixels(li, img, "round(l_discount * 100)", "cast(l_quantity as int) - 1", "l_extendedprice", "double").groupBy("img", "y", "x").agg(F.max("v").alias("v"))
-    return densify(cells, _frame(cells, F.lit(11), F.lit(50)), 0.0)
+    return densify(cells, _frame(cells, _least(11, "y"), _least(50, "x")), 0.0)
 
 
 def event_heat(spark, d) -> DataFrame:
     cells = pixels(table(spark, d, "events"), 0, "user_id", "floor((unix_micros(cast(ts as timestamp)) - unix_micros(timestamp'2024-01-01')) / 3600000000)", 1).groupBy("img", "y", "x").agg(F.count("*").alias("v"))
-    return densify(cells, _frame(cells, F.max("y") + 1, F.lit(720)))
+    return densify(cells, _frame(cells, F.max("y") + 1, _least(720, "x")))
 
 
 def event_value(spark, d) -> DataFrame:
     cells = pixels(table(spark, d, "events"), 0, "user_id", "floor((unix_micros(cast(ts as timestamp)) - unix_micros(timestamp'2024-01-01')) / 3600000000)", "round(value * 100)").groupBy("img", "y", "x").agg(F.sum("v").alias("v"))
-    return densify(cells, _frame(cells, F.max("y") + 1, F.lit(720)))
+    return densify(cells, _frame(cells, F.max("y") + 1, _least(720, "x")))
 
 
 def order_surface(spark, d) -> DataFrame:
@@ -108,7 +121,7 @@ def order_relief(spark, d) -> DataFrame:
 
     cents = order_surface(spark, d).withColumn("c", F.round(F.col("v") * 100).cast("bigint"))
     mean = cents.groupBy("img").agg(F.expr("floor(sum(c) / count(*))").cast("bigint").alias("mean"))
-    c = cents.join(F.broadcast(mean), "img").withColumn("c", F.col("c") - F.col("mean"))
+    c = cents.join(mean, "img").withColumn("c", F.col("c") - F.col("mean"))
     down = c.withColumn("c", F.sum("c").over(Window.partitionBy("img", "x").orderBy("y")))
     across = down.withColumn("c", F.sum("c").over(Window.partitionBy("img", "y").orderBy("x")))
     return across.select("img", "y", "x", F.expr("(c - pmod(c, 1000000L)) div 1000000L").cast("bigint").alias("v"))
@@ -153,25 +166,103 @@ def turns(spark, d) -> DataFrame:
 
 def balances(spark, d) -> DataFrame:
     cells = pixels(table(spark, d, "customer"), 0, "floor(c_custkey / 50)", "c_custkey % 50", "c_acctbal", "double")
-    return densify(cells, _frame(cells, F.max("y") + 1, F.lit(50)), 0.0)
+    return densify(cells, _frame(cells, F.max("y") + 1, _least(50, "x")), 0.0)
 
 
 def voxels(spark, d) -> DataFrame:
     """(img, z, y, x, v): months by quantity by discount, dense."""
     li = table(spark, d, "lineitem")
     cells = li.select(F.expr("cast(round(l_discount * 100) as int)").alias("z"), F.expr("cast(l_quantity as int) - 1").alias("y"), F.expr("12 * (year(l_shipdate) - 1995) + month(l_shipdate) - 1").alias("x")).groupBy("z", "y", "x").agg(F.count("*").alias("v"))
-    grid = densify(cells.where("false").select(F.lit(0).cast("bigint").alias("img"), "y", "x", "v"), li.sparkSession.range(11).select(F.col("id").alias("img"), F.lit(50).alias("height"), F.lit(83).alias("width"))).select(F.col("img").cast("int").alias("z"), "y", "x")
+    ends = cells.agg(*[_least(n, c).alias(c) for c, n in (("z", 11), ("y", 50), ("x", 83))])  # one row
+    every = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
+    grid = ends.select("y", "x", every("z").alias("_z")).select("x", "_z", every("y").alias("_y")).select(F.col("_z").alias("z"), F.col("_y").alias("y"), every("x").alias("x"))
     return grid.join(cells, ["z", "y", "x"], "left").select(F.lit(0).cast("bigint").alias("img"), "z", "y", "x", F.coalesce("v", F.lit(0)).cast("bigint").alias("v"))
 
 
-def quote_mask(spark, d) -> DataFrame:
-    """(img, y, x, v, m): mask = ink of documents that quote a whole passage; marker = its ink within the passage."""
-    docs, items = table(spark, d, "documents").select("doc_id", "text"), table(spark, d, "benchmark").select(F.col("text").alias("quote"))
-    # the benchmark table does not grow with the corpus
-    found = docs.join(F.broadcast(items.where("length(quote) > 0")), F.col("text").contains(F.col("quote"))).groupBy("doc_id", "text").agg(F.collect_list(F.struct(F.expr("instr(text, quote) - 1").alias("a"), F.expr("instr(text, quote) - 1 + length(quote)").alias("b"))).alias("s"))
-    px = wrapped_text(found, "doc_id", "text", 64, ink=True)
-    spans = found.select(F.col("doc_id").alias("img"), "s")
-    return px.join(spans, "img").select("img", "y", "x", F.expr("if(exists(s, q -> y * 64 + x >= q.a and y * 64 + x < q.b), v, 0L)").alias("v"), F.col("v").alias("m"))
+def codes(text: str, width: int, ink: bool = False) -> np.ndarray:
+    """A text wrapped at a width as bytes: code points up to 255, or ink (255) and white space (0); the last row is filled with 0."""
+    c = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4")
+    out = np.zeros(-(-len(c) // width) * width, np.uint8)
+    out[: len(c)] = np.where((c == 32) | (c >= 9) & (c <= 13), 0, 255) if ink else np.minimum(c, 255)
+    return out.reshape(-1, width)
+
+
+def text_strips(df: DataFrame, img: str, text: str, width: int, ink: bool = False) -> DataFrame:
+    """Texts as strips that hold a whole image each, made where the text is read: no exchange. Null and empty texts have none."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                if t:
+                    a = codes(t, width, ink)
+                    yield strip_row(i, 0, 1, 0, a, "u8")
+
+    return df.select(F.col(img).cast("bigint"), text).mapInArrow(run, STRIP)
+
+
+def glyph_strips(spark, d) -> DataFrame:
+    return text_strips(table(spark, d, "documents"), "doc_id", "text", 64)
+
+
+def ink_strips(spark, d) -> DataFrame:
+    return text_strips(table(spark, d, "documents"), "doc_id", "text", 64, ink=True)
+
+
+def page_strips(spark, d) -> DataFrame:
+    return text_strips(table(spark, d, "pages"), "page_id", "html", 128)
+
+
+#: Characters of passages that are searched in one pass over the documents.
+BLOCK = 1 << 22
+
+
+def quoted(docs: DataFrame, passages: DataFrame) -> DataFrame:
+    """(doc_id, text, spans array of (a, b)): documents that hold a whole passage, with all places where one stands.
+
+    docs has doc_id and text, passages has quote. Passages are searched in blocks of bounded
+    size, each by one automaton in one pass over the documents, however many passages there are.
+    """
+    some = passages.where("length(quote) > 0").select("quote").distinct()
+    total = some.agg(F.coalesce(F.sum(F.length("quote")), F.lit(0))).first()[0]
+    n = -(-total // BLOCK)
+
+    def search(quotes: list[str]):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            import ahocorasick
+
+            words = ahocorasick.Automaton()
+            for q in quotes:
+                words.add_word(q, len(q))
+            words.make_automaton()
+            for b in batches:
+                found = [[{"a": end + 1 - size, "b": end + 1} for end, size in words.iter(t)] if t else [] for t in b.column(1).to_pylist()]
+                hit = pa.array([bool(f) for f in found])
+                yield pa.RecordBatch.from_arrays([b.column(0).filter(hit), b.column(1).filter(hit), pa.array([f for f in found if f], pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))], names=["doc_id", "text", "spans"])
+
+        return docs.select("doc_id", "text").mapInArrow(run, "doc_id bigint, text string, spans array<struct<a: bigint, b: bigint>>")
+
+    if not n:
+        return docs.select(F.col("doc_id").cast("bigint"), "text", F.array().cast("array<struct<a: bigint, b: bigint>>").alias("spans")).limit(0)
+    blocks = [search([r["quote"] for r in some.where(F.pmod(F.xxhash64("quote"), F.lit(n)) == k).collect()]) for k in range(n)]
+    if n == 1:
+        return blocks[0]
+    return reduce(DataFrame.union, blocks).groupBy("doc_id", "text").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+
+
+def quote_strips(spark, d) -> DataFrame:
+    """Strips with masks: mask = ink of documents that quote a whole passage; marker = its ink within the passages."""
+    found = quoted(table(spark, d, "documents"), table(spark, d, "benchmark").select(F.col("text").alias("quote")))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, t, spans in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                mask = codes(t, 64, ink=True)
+                inside = np.zeros(mask.size, bool)
+                for s in spans:
+                    inside[s["a"] : s["b"]] = True
+                yield strip_row(i, 0, 1, 0, np.where(inside.reshape(mask.shape), mask, 0).astype(np.uint8), "u8", mask)
+
+    return found.mapInArrow(run, STRIP)
 
 
 RASTERS: dict[str, Raster] = {f.__name__: f for f in (emb_tiles, emb_strip, emb_wide, ship_density, ship_weekly, ship_by_region, price_cells, event_heat, event_value, order_surface, order_relief, part_price, part_size, glyph, ink, page_bytes, turns, balances)}
@@ -216,6 +307,6 @@ SQL: dict[str, str] = {
     "glyph": _wrap_sql("documents", "doc_id", "text", 64),
     "ink": _wrap_sql("documents", "doc_id", "text", 64, True),
     "page_bytes": _wrap_sql("pages", "page_id", "html", 128),
-    "turns": _dense_sql("select conv_id::bigint img, turn::int y, (i - 1)::int x, max(least(unicode(c), 255))::bigint v from (select conv_id, turn, unnest(string_split(text, '')) c, generate_subscripts(string_split(text, ''), 1) i from conversations where length(text) > 0) where i <= 256 group by all", "max(y) + 1", "256"),
+    "turns": _dense_sql("select conv_id::bigint img, turn::int y, (i - 1)::int x, max(least(unicode(c), 255))::bigint v from (select conv_id, turn, unnest(string_split(text, '')) c, generate_subscripts(string_split(text, ''), 1) i from conversations where length(text) > 0) group by all", "max(y) + 1", "max(x) + 1"),
     "balances": _dense_sql("select 0::bigint img, (c_custkey // 50)::int y, (c_custkey % 50)::int x, c_acctbal v from customer", "max(y) + 1", "50", "0.0"),
 }

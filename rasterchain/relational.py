@@ -2,16 +2,13 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rasterchain import oracles as O
 from rasterchain import rasters as R
 from rasterchain.chain import erosion
+from rasterchain.exec.saving import shared_folder
 from rasterchain.functions import sql as fsql
 from rasterchain.layout import to_pixels, to_strips
 from rasterchain.operators import morphology as M
@@ -240,9 +237,7 @@ add("schedule_modulo", lambda spark, d: _table(spark, [(j, *assign(j, 6)) for j
 
 
 def _folder(spark) -> str:
-    sc = spark.sparkContext
-    base = sc.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "rasterchain-checkpoints")
-    return f"{base}/stream-{uuid.uuid4().hex}"
+    return shared_folder(spark, "stream")
 
 
 def _stream(spark, d: str, name: str) -> DataFrame:

@@ -171,13 +171,13 @@ def spectrum(src: str, s_max: int, family: str = "open") -> str:
 
 add("pattern_spectrum_part", on(P, lambda df: M.pattern_spectrum(df, 10)), f"select * from {spectrum(S[P], 10)}")
 add("pattern_spectrum_close_part", on(P, lambda df: M.pattern_spectrum(df, 4, "close", signed=False)), f"select img, s, abs(ps) ps from {spectrum(S[P], 4, 'close')}")
-add("pattern_spectrum_docs", on("ink", lambda df: M.pattern_spectrum(df, 3)), f"select * from {spectrum(S['ink'], 3)}")
+add("pattern_spectrum_docs", lambda spark, d: M.pattern_spectrum(R.ink_strips(spark, d), 3), f"select * from {spectrum(S['ink'], 3)}")
 add("asf3_part", on(P, lambda df: M.asf(df, 3)), whole(O.asf(S[P], 3)))
 add("asf3_close_first", on(P, lambda df: M.asf(df, 3, "close")), whole(O.asf(S[P], 3, "close")))
 add("asf3_fused_part", on(P, lambda df: M.chain(df, alternating(3), fuse=True)), whole(O.asf(S[P], 3)))
 add("asf11_order", on(RELIEF, lambda df: M.asf(df, 11, fused=True)), whole(O.asf(S[RELIEF], 11)))
 add("regional_maxima_emb", on(E, M.regional_maxima), f"select img, y, x, (a.v > b.v)::bigint v from {S[E]} a join {O.reach(O.marked(S[E], 'v - 1'))} b using (img, y, x)")
-add("label_ink", on("ink", lambda df: reduce_images(df, lambda c: [(len(np.unique(K.labelled(c["v"]))) - int((c["v"] == 0).any()), int((c["v"] > 0).sum()))], "components bigint, ink bigint")))
+add("label_ink", lambda spark, d: reduce_images(R.ink_strips(spark, d), lambda c: [(len(np.unique(K.labelled(c["v"]))) - int((c["v"] == 0).any()), int((c["v"] > 0).sum()))], "components bigint, ink bigint"))
 _bin = f"(select img, y, x, (v >= 40)::bigint v from {S[P]})"
 _ids = f"(select img, y, x, case when v > 0 then y * (max(x) over () + 1) + x + 1 else 0 end v, case when v > 0 then 1000000000 else 0 end m from {_bin})"
 add("label_part", on(P, lambda df: M.label(df.withColumn("v", (F.col("v") >= 40).cast("bigint")))), whole(O.recursion(_ids)))
@@ -193,7 +193,13 @@ add("chain_len_hmax", on(E, lambda df: M.chain_length(df, "hmax", 4)), length(O.
 add("chain_len_hfill", on(E, lambda df: M.chain_length(df, "hfill")), length(O.recursion(O.border(S[E], "max"), "erosion")))
 add("chain_len_raobj", on(E, lambda df: M.chain_length(df, "raobj")), length(O.recursion(O.border(S[E], "min"))))
 add("chain_len_open_rec", on(E, lambda df: M.chain_length(df, "open_rec", 1)), length(O.recursion(eroded_marker(S[E], 1))))
-add("chain_len_qdt", on(E, M.qdt_lengths))
+_erosions = " union all ".join(f"select img, y, x, {s} s, v from {O.win(S[E], s) if s else S[E]}" for s in range(65))
+_pulled = " union all ".join(f"select img, y, x, {j} j, v + {j} v from {O.win(_de, j) if j else _de}" for j in range(65))
+add("chain_len_qdt", on(E, M.qdt_lengths), f"""with q as materialized (select * from {_res}), e as ({_erosions})
+  , l as (select img, s, lag(v) over (partition by img, y, x order by s) - v loss from e)
+  , n as (select img, count(distinct s) filter (loss > 0) n_residual from l group by img)
+  , p as (select img, y, x, arg_min(j, v * 1000 + j) j from ({_pulled}) group by all)
+  select img, n_residual::int n_residual, max(j)::int n_eta from n join p using (img) group by all""")
 
 
 def _chain_len_rounds(spark, d) -> DataFrame:
@@ -244,21 +250,23 @@ def _sum_sql(src: str) -> str:
     return f"select img, sum(v)::bigint sum_v from {src} group by img"
 
 
-add("doc_hmax", on("glyph", lambda df: reduce_images(df, lambda c: [_summed(K.hmax(c["v"], 32))], "sum_v bigint, chain_len int")))
-add("doc_open", on("glyph", _sums(lambda a: K.opened(a, 1))), _sum_sql(O.opening(S["glyph"], 1)))
-add("page_open", on("page_bytes", _sums(lambda a: K.opened(a, 1))), _sum_sql(O.opening(S["page_bytes"], 1)))
+add("doc_hmax", lambda spark, d: reduce_images(R.glyph_strips(spark, d), lambda c: [_summed(K.hmax(c["v"], 32))], "sum_v bigint, chain_len int"))
+add("doc_open", lambda spark, d: _sums(lambda a: K.opened(a, 1))(R.glyph_strips(spark, d)), _sum_sql(O.opening(S["glyph"], 1)))
+add("page_open", lambda spark, d: _sums(lambda a: K.opened(a, 1))(R.page_strips(spark, d)), _sum_sql(O.opening(S["page_bytes"], 1)))
 add("turns_dilate", on("turns", lambda df: M.dilate(df, 1)), whole(O.win(S["turns"], 1, "max")))
 
 
 def _quote(spark, d) -> DataFrame:
-    return reduce_images(R.quote_mask(spark, d), lambda c: [_summed(K.reconstruct(c["v"], c["m"]))], "sum_v bigint, chain_len int")
+    return reduce_images(R.quote_strips(spark, d), lambda c: [_summed(K.reconstruct(c["v"], c["m"]))], "sum_v bigint, chain_len int")
 
 
-add("quote_reconstruct", _quote)
+_places = "select distinct doc_id img, i - 1 a, i - 1 + length(quote) b from (select doc_id, d.text, b.text quote from documents d join benchmark b on length(b.text) > 0 and contains(d.text, b.text)), unnest(range(1, length(text) - length(quote) + 2)) r(i) where substr(text, i, length(quote)) = quote"
+_quotes = f"(with s as ({_places}), i as (select * from {S['ink']} where img in (select img from s)), k as (select distinct img, unnest(range(a, b)) p from s) select i.img, y, x, case when k.p is null then 0 else v end v, v m from i left join k on k.img = i.img and k.p = y * 64 + x)"
+add("quote_reconstruct", _quote, f"select img, sum(v)::bigint sum_v, max(k)::int chain_len from {O.recursion(_quotes)} group by img")
 
 
 def _by_label(spark, d) -> DataFrame:
-    ps = M.pattern_spectrum(R.ink(spark, d), 3)
+    ps = M.pattern_spectrum(R.ink_strips(spark, d), 3)
     labels = R.table(spark, d, "labels").select(F.col("doc_id").alias("img"), "quality")
     return ps.join(labels, "img").groupBy("quality", "s").agg(F.round(F.avg("ps"), 4).alias("avg_ps"))
 
