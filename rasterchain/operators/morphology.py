@@ -2,21 +2,27 @@
 
 Every function is lazy and returns a frame of the same form unless it says otherwise.
 kind is the Spark type of the result: bigint for whole numbers, double for real ones.
-strategy: task (whole images), sql (window functions), rounds or frontier (strips).
+strategy: task (whole images), sql (window functions), rounds or frontier (strips), or auto:
+the planner looks at the size of the images and takes whole images where their state fits a
+task, and strips beyond that. Then fixed chains run in rounds, and reconstructions by their
+front; both ship edge rows only, and give the same result.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from functools import reduce
+
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rasterchain import dtypes
 from rasterchain import kernels as K
-from rasterchain.chain import Chain
+from rasterchain.chain import Chain, alternating, closing, dilation, erosion, opening
 from rasterchain.chain import run as run_chain_on
 from rasterchain.exec import frontier, rounds, sqlwin
 from rasterchain.exec.task import map_images, reduce_images
 from rasterchain.layout import to_pixels, to_strips
+from rasterchain.plans import planner
 from rasterchain.plans.rewrite import optimize
 
 
@@ -44,11 +50,37 @@ def dilate(df: DataFrame, s: int, method: str = "auto", strategy: str = "task")
     return _filter(df, s, K.MAX, method, strategy)
 
 
-def open_(df: DataFrame, s: int) -> DataFrame:
+def _in_strips(df: DataFrame, strategy: str, filters: Chain | None = None) -> planner.PhysicalChoice | None:
+    """What the planner says of strips for these images, None for whole images in a task."""
+    if strategy == "task":
+        return None
+    found = planner.planned(df, filters)
+    return None if strategy == "auto" and found.strategy == "task" else found
+
+
+def _chained(df: DataFrame, filters: Chain, plan: planner.PhysicalChoice) -> DataFrame:
+    per_round = max(1, min(plan.filters_per_round or filters.n_filters, plan.strip_rows))
+    return chain(df, filters, strategy="rounds", strip_rows=plan.strip_rows, per_round=per_round)
+
+
+def _rebuilt(df: DataFrame, by: str, plan: planner.PhysicalChoice) -> DataFrame:
+    return reconstruct(df, by, strategy="frontier", strip_rows=plan.strip_rows)
+
+
+def _beside(df: DataFrame, other: DataFrame, v) -> DataFrame:
+    """Pixels of df and of another frame (as v and m), put together."""
+    return df.select("img", "y", "x", "v").join(other.select("img", "y", "x", F.col("v").alias("m")), ["img", "y", "x"]).select("img", "y", "x", v.alias("v"), "m")
+
+
+def open_(df: DataFrame, s: int, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy, opening(s)):
+        return _chained(df, opening(s), plan)
     return map_images(df, lambda c: {"v": K.opened(c["v"], s)}, f"v {_kind(df)}")
 
 
-def close(df: DataFrame, s: int) -> DataFrame:
+def close(df: DataFrame, s: int, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy, closing(s)):
+        return _chained(df, closing(s), plan)
     return map_images(df, lambda c: {"v": K.closed(c["v"], s)}, f"v {_kind(df)}")
 
 
@@ -105,12 +137,17 @@ def erode_rec(df: DataFrame, **options) -> DataFrame:
     return reconstruct(df, "erosion", **options)
 
 
-def hmax(df: DataFrame, h, arith: str = "real", dtype: str | None = None) -> DataFrame:
+def hmax(df: DataFrame, h, arith: str = "real", dtype: str | None = None, strategy: str = "task") -> DataFrame:
+    if arith == "real" and dtype is None and (plan := _in_strips(df, strategy)):
+        return _rebuilt(df.select("img", "y", "x", (F.col("v") - h).alias("v"), F.col("v").alias("m")), "dilation", plan)
     cast = _cast(dtype)
     return map_images(df, lambda c: {"v": K.hmax(cast(c["v"]), h, arith)[0]}, f"v {_kind(df)}")
 
 
-def dome(df: DataFrame, h) -> DataFrame:
+def dome(df: DataFrame, h, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy):
+        low = _rebuilt(df.select("img", "y", "x", (F.col("v") - h).alias("v"), F.col("v").alias("m")), "dilation", plan)
+        return _beside(df, low, F.col("v") - F.col("m")).drop("m")
     return map_images(df, lambda c: {"v": c["v"] - K.hmax(c["v"], h)[0]}, f"v {_kind(df)}")
 
 
@@ -137,15 +174,22 @@ def raobj_marker(df: DataFrame) -> DataFrame:
     return border_marker(df, "min").drop("m")
 
 
-def hfill(df: DataFrame) -> DataFrame:
+def hfill(df: DataFrame, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy):
+        return _rebuilt(border_marker(df, "max"), "erosion", plan)
     return map_images(df, lambda c: {"v": K.hfill(c["v"])[0]}, f"v {_kind(df)}")
 
 
-def raobj(df: DataFrame) -> DataFrame:
+def raobj(df: DataFrame, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy):
+        return _beside(df, _rebuilt(border_marker(df, "min"), "dilation", plan), F.col("v") - F.col("m")).drop("m")
     return map_images(df, lambda c: {"v": K.raobj(c["v"])[0]}, f"v {_kind(df)}")
 
 
-def open_rec(df: DataFrame, s: int) -> DataFrame:
+def open_rec(df: DataFrame, s: int, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy):
+        marker = _beside(_chained(df, erosion(s), plan), df, F.col("v"))
+        return _rebuilt(marker, "dilation", plan)
     return map_images(df, lambda c: {"v": K.open_rec(c["v"], s)[0]}, f"v {_kind(df)}")
 
 
@@ -183,13 +227,24 @@ def qdt(df: DataFrame, closed_form: bool = False) -> DataFrame:
     return map_images(df, fn, "d int")
 
 
-def granulometry(df: DataFrame, s_max: int, family: str = "open") -> DataFrame:
+def granulometry(df: DataFrame, s_max: int, family: str = "open", strategy: str = "task") -> DataFrame:
     """(img, s, g)."""
+    if plan := _in_strips(df, strategy, opening(max(1, s_max))):
+        total = lambda at, k: at.groupBy("img").agg(F.sum("v").alias("g")).select("img", F.lit(k).alias("s"), "g")
+        first, then = (erosion, dilation) if family == "open" else (dilation, erosion)
+        sums, low = [total(df, 0)], df
+        for k in range(1, s_max + 1):  # the first filters of all sizes are shared
+            low = _chained(low, first(1), plan)
+            sums.append(total(_chained(low, then(k), plan), k))
+        return reduce(DataFrame.union, sums)
     return reduce_images(df, lambda c: list(enumerate(K.granulometry(c["v"], s_max, family))), f"s int, g {_kind(df)}")
 
 
-def pattern_spectrum(df: DataFrame, s_max: int, family: str = "open", signed: bool = True) -> DataFrame:
+def pattern_spectrum(df: DataFrame, s_max: int, family: str = "open", signed: bool = True, strategy: str = "task") -> DataFrame:
     """(img, s, ps) for sizes 0 to s_max; closings give negative values unless signed is off."""
+    if _in_strips(df, strategy, opening(max(1, s_max))):
+        ps = F.col("g") - F.lead("g").over(Window.partitionBy("img").orderBy("s"))
+        return granulometry(df, s_max + 1, family, strategy).select("img", "s", (ps if signed else F.abs(ps)).alias("ps")).where(F.col("s") <= s_max)
 
     def fn(c):
         g = K.granulometry(c["v"], s_max + 1, family)
@@ -198,7 +253,9 @@ def pattern_spectrum(df: DataFrame, s_max: int, family: str = "open", signed: bo
     return reduce_images(df, fn, f"s int, ps {_kind(df)}")
 
 
-def asf(df: DataFrame, s: int, first: str = "open", fused: bool = False) -> DataFrame:
+def asf(df: DataFrame, s: int, first: str = "open", fused: bool = False, strategy: str = "task") -> DataFrame:
+    if plan := _in_strips(df, strategy, alternating(s, first)):
+        return _chained(df, alternating(s, first), plan)
     return map_images(df, lambda c: {"v": K.asf(c["v"], s, first, fused)}, f"v {_kind(df)}")
 
 

@@ -4,6 +4,9 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
 from rasterchain.chain import Chain
 
 #: Bytes of all state of an image up to which one task takes it whole.
@@ -41,6 +44,12 @@ def choose(width: int, height: int, pixel_bytes: int, chain: Chain | None = None
     return PhysicalChoice("rounds", rows, k, -(-n // k), f"{total} bytes exceed a task")
 
 
+def planned(df: DataFrame, chain: Chain | None = None, states: int = 2, want_length: bool = False) -> PhysicalChoice:
+    """The choice for the largest image of a pixel frame, whose size one aggregate of its coordinates tells."""
+    ends = df.agg((F.max("x") + 1).alias("w"), (F.max("y") + 1).alias("h")).first()
+    return choose(ends["w"] or 1, ends["h"] or 1, 8, chain, states, want_length)
+
+
 def method(s: int, faithful: bool = False) -> str:
     """Method of an erosion of size s; faithful keeps the chain of elementary filters."""
     return "chain" if faithful or s <= 2 else "prefix_suffix"

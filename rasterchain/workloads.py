@@ -123,7 +123,7 @@ add("hfill_marker_emb", on(E, M.hfill_marker), whole(O.border(S[E], "max")))
 add("raobj_marker_emb", on(E, M.raobj_marker), whole(O.border(S[E], "min")))
 _fill = O.negated(O.reach(O.border(O.negated(S[E]), "min")))
 add("hfill_emb", on(E, M.hfill), whole(_fill))
-add("hfill_order", on(RELIEF, M.hfill), whole(O.recursion(O.border(S[RELIEF], "max"), "erosion")))
+add("hfill_order", on(RELIEF, lambda df: M.hfill(df, strategy="auto")), whole(O.recursion(O.border(S[RELIEF], "max"), "erosion")))
 for name, raster in (("emb", E), ("part", P)):
     add(f"raobj_{name}", on(raster, M.raobj), f"select img, y, x, (a.v - b.v)::bigint v from {S[raster]} a join {O.reach(O.border(S[raster], 'min'))} b using (img, y, x)")
 
@@ -133,7 +133,7 @@ def eroded_marker(src: str, s: int) -> str:
 
 
 add("open_rec_emb", on(E, lambda df: M.open_rec(df, 1)), whole(O.reach(eroded_marker(S[E], 1))))
-add("open_rec75_strip", on(STRIP, lambda df: M.open_rec(df, 75)), whole(O.recursion(eroded_marker(S[STRIP], 75))))
+add("open_rec75_strip", on(STRIP, lambda df: M.open_rec(df, 75, strategy="auto")), whole(O.recursion(eroded_marker(S[STRIP], 75))))
 _neg = O.negated(S[P])
 add("hmin_part", on(P, lambda df: M.hmin(df, 8)), whole(O.negated(O.reach(O.marked(_neg, "v - 8")))))
 add("basin_part", on(P, lambda df: M.basin(df, 8)), f"select img, y, x, (a.v - b.v)::bigint v from {O.negated(O.reach(O.marked(_neg, 'v - 8')))} a join {S[P]} b using (img, y, x)")
@@ -175,7 +175,7 @@ add("pattern_spectrum_docs", lambda spark, d: M.pattern_spectrum(R.ink_strips(sp
 add("asf3_part", on(P, lambda df: M.asf(df, 3)), whole(O.asf(S[P], 3)))
 add("asf3_close_first", on(P, lambda df: M.asf(df, 3, "close")), whole(O.asf(S[P], 3, "close")))
 add("asf3_fused_part", on(P, lambda df: M.chain(df, alternating(3), fuse=True)), whole(O.asf(S[P], 3)))
-add("asf11_order", on(RELIEF, lambda df: M.asf(df, 11, fused=True)), whole(O.asf(S[RELIEF], 11)))
+add("asf11_order", on(RELIEF, lambda df: M.asf(df, 11, fused=True, strategy="auto")), whole(O.asf(S[RELIEF], 11)))
 add("regional_maxima_emb", on(E, M.regional_maxima), f"select img, y, x, (a.v > b.v)::bigint v from {S[E]} a join {O.reach(O.marked(S[E], 'v - 1'))} b using (img, y, x)")
 add("label_ink", lambda spark, d: reduce_images(R.ink_strips(spark, d), lambda c: [(len(np.unique(K.labelled(c["v"]))) - int((c["v"] == 0).any()), int((c["v"] > 0).sum()))], "components bigint, ink bigint"))
 _bin = f"(select img, y, x, (v >= 40)::bigint v from {S[P]})"
