@@ -14,6 +14,8 @@ import numpy as np
 from rasterchain import dtypes
 
 MIN, MAX = np.minimum, np.maximum
+#: Bytes of a row of a block that takes several filters in the cache.
+BLOCK_BYTES = 4096
 
 
 def neutral(dtype, lo) -> float | int:
@@ -43,35 +45,39 @@ def sep3(a: np.ndarray, lo=MIN, order: str = "xy") -> np.ndarray:
     return a
 
 
-def chain3(a: np.ndarray, n: int, lo=MIN, block_rows: int = 128, together: int = 16) -> np.ndarray:
-    """n filters of 3x3 in a row. Blocks of rows that stay in the cache take some filters together before the next block.
+def chain3(a: np.ndarray, n: int, lo=MIN, block_rows: int = 128, together: int = 16, block_cols: int | None = None) -> np.ndarray:
+    """n filters of 3x3 in a row. Blocks that stay in the cache take some filters together before the next block.
 
-    A block is read with as many rows on each side as filters run on it, so its own rows are exact.
+    A block is read with as many rows and columns on each side as filters run on it, so its own
+    pixels are exact. Its width, unless given, follows the bytes of a pixel.
     """
     h, w = a.shape
     if n == 0 or not a.size:
         return a.copy()
+    wide = block_cols or max(64, BLOCK_BYTES // a.itemsize)
     cur, nxt = a.copy(), np.empty_like(a)
-    size = (min(h, block_rows + 2 * together), w)
+    size = min(h, block_rows + 2 * together) * min(w, wide + 2 * together)
     u, t = np.empty(size, a.dtype), np.empty(size, a.dtype)
     done = 0
     while done < n:
         k = min(together, n - done)
         for y in range(0, h, block_rows):
             top, bottom = max(0, y - k), min(h, y + block_rows + k)
-            m = bottom - top
-            p, q = u[:m], t[:m]
-            p[...] = cur[top:bottom]
-            for _ in range(k):
-                if w > 1:  # pairs, then pairs of pairs; the frame clips
-                    lo(p[:, :-1], p[:, 1:], out=q[:, :-1])
-                    p[:, 0], p[:, -1] = q[:, 0], q[:, w - 2]
-                    lo(q[:, : w - 2], q[:, 1 : w - 1], out=p[:, 1:-1])
-                if m > 1:
-                    lo(p[:-1], p[1:], out=q[:-1])
-                    p[0], p[-1] = q[0], q[m - 2]
-                    lo(q[: m - 2], q[1 : m - 1], out=p[1:-1])
-            nxt[y : y + block_rows] = p[y - top : y - top + block_rows]
+            for x in range(0, w, wide):
+                left, right = max(0, x - k), min(w, x + wide + k)
+                m, c = bottom - top, right - left
+                p, q = u[: m * c].reshape(m, c), t[: m * c].reshape(m, c)
+                p[...] = cur[top:bottom, left:right]
+                for _ in range(k):
+                    if c > 1:  # pairs, then pairs of pairs; the frame clips
+                        lo(p[:, :-1], p[:, 1:], out=q[:, :-1])
+                        p[:, 0], p[:, -1] = q[:, 0], q[:, c - 2]
+                        lo(q[:, : c - 2], q[:, 1 : c - 1], out=p[:, 1:-1])
+                    if m > 1:
+                        lo(p[:-1], p[1:], out=q[:-1])
+                        p[0], p[-1] = q[0], q[m - 2]
+                        lo(q[: m - 2], q[1 : m - 1], out=p[1:-1])
+                nxt[y : y + block_rows, x : x + wide] = p[y - top : y - top + block_rows, x - left : x - left + wide]
         cur, nxt = nxt, cur
         done += k
     return cur

@@ -92,7 +92,7 @@ for n in (4, 16, 64):
     add(f"chain_erode_{n}_emb", on(STRIP, lambda df, n=n: M.chain(df, erosion(n))), whole(O.win(S[STRIP], n)))
 for dtype in ("u8", "u16", "f32", "f64"):
     add(f"chain512_{dtype}", on(STRIP, lambda df, dtype=dtype: M.chain(df, erosion(512), dtype)), whole(O.win(S[STRIP], 512)))
-add("chain_barrier_16_emb", on(STRIP, lambda df: map_images(df, lambda c: {"v": K.filtered(c["v"], 16, K.MIN, "chain")})), whole(O.win(S[STRIP], 16)))
+add("chain_whole_array_16_emb", on(STRIP, lambda df: map_images(df, lambda c: {"v": K.filtered(c["v"], 16, K.MIN, "chain")})), whole(O.win(S[STRIP], 16)))
 add("chain_barrier_rounds_4_emb", on(STRIP, lambda df: M.barrier_chain(df, erosion(4), 128)), whole(O.win(S[STRIP], 4)))
 add("chain_fused_64_emb", on(STRIP, lambda df: M.chain(df, erosion(64), fuse=True)), whole(O.win(S[STRIP], 64)))
 add("chain_rounds_64_emb", on(STRIP, lambda df: M.chain(df, erosion(64), strategy="rounds", strip_rows=64, per_round=32)), whole(O.win(S[STRIP], 64)))
