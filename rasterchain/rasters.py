@@ -188,7 +188,13 @@ def codes(text: str, width: int, ink: bool = False) -> np.ndarray:
 
 
 def text_strips(df: DataFrame, img: str, text: str, width: int, ink: bool = False) -> DataFrame:
-    """Texts as strips that hold a whole image each, made where the text is read: no exchange. Null and empty texts have none."""
+    """Texts as strips that hold a whole image each, made where the text is read: no exchange. Null and empty texts have none.
+
+    Only a table that is read by fewer tasks than may run at once is dealt out first.
+    """
+    rows, tasks = df.select(F.col(img).cast("bigint"), text), df.sparkSession.sparkContext.defaultParallelism
+    if rows.rdd.getNumPartitions() < tasks:
+        rows = rows.repartition(tasks)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -197,7 +203,7 @@ def text_strips(df: DataFrame, img: str, text: str, width: int, ink: bool = Fals
                     a = codes(t, width, ink)
                     yield strip_row(i, 0, 1, 0, a, "u8")
 
-    return df.select(F.col(img).cast("bigint"), text).mapInArrow(run, STRIP)
+    return rows.mapInArrow(run, STRIP)
 
 
 def glyph_strips(spark, d) -> DataFrame:
