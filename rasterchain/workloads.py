@@ -253,7 +253,7 @@ def _sum_sql(src: str) -> str:
 add("doc_hmax", lambda spark, d: reduce_images(R.glyph_strips(spark, d), lambda c: [_summed(K.hmax(c["v"], 32))], "sum_v bigint, chain_len int"))
 add("doc_open", lambda spark, d: _sums(lambda a: K.opened(a, 1))(R.glyph_strips(spark, d)), _sum_sql(O.opening(S["glyph"], 1)))
 add("page_open", lambda spark, d: _sums(lambda a: K.opened(a, 1))(R.page_strips(spark, d)), _sum_sql(O.opening(S["page_bytes"], 1)))
-add("turns_dilate", on("turns", lambda df: M.dilate(df, 1)), whole(O.win(S["turns"], 1, "max")))
+add("turns_dilate", lambda spark, d: M.dilate(R.turn_strips(spark, d), 1), whole(O.win(S["turns"], 1, "max")))
 
 
 def _quote(spark, d) -> DataFrame:

@@ -2,7 +2,7 @@
 
 import numpy as np
 
-from rasterchain import rasters, workloads
+from rasterchain import layout, rasters, workloads
 
 
 def conversations(spark, tmp_path):
@@ -38,3 +38,19 @@ def test_turns_dilate_over_whole_texts(spark, tmp_path):
         p = np.pad(a, 1)
         grown[i] = np.max([p[y : y + a.shape[0], x : x + a.shape[1]] for y in range(3) for x in range(3)], axis=0)
     assert images(workloads.QUERIES["turns_dilate"](spark, str(tmp_path))) == cells(grown)
+
+
+def test_turns_are_made_where_their_texts_are(spark, tmp_path):
+    conversations(spark, tmp_path)
+    out = workloads.QUERIES["turns_dilate"](spark, str(tmp_path))
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" not in plan and "Join" not in plan  # no pixel is dealt out
+
+
+def test_turn_strips_equal_turns(spark, tmp_path, monkeypatch):
+    rows = [(1, 0, "u", "ab"), (1, 0, "u", "Zzz"), (1, 3, "u", "x"), (2, None, "u", "lost but long"), (2, 1, "u", "é中"), (3, None, "u", "none"), (None, 1, "u", "ab"), (None, 0, "u", "c")]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    monkeypatch.setattr(layout, "BATCH", 5)
+    want = images(rasters.turns(spark, str(tmp_path)))
+    assert want[1, 0, 0] == ord("a") and want[2, 0, 12] == 0 and want[None, 1, 1] == 0
+    assert images(layout.to_pixels(rasters.turn_strips(spark, str(tmp_path)))) == want
