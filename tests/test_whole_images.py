@@ -77,3 +77,20 @@ def test_cells_outside_a_frame(spark):
     frame_of = spark.createDataFrame([(0, 2, 3)], "img bigint, height int, width int")
     with pytest.raises(Exception, match="before the frame"):
         rasters.densify(cells, frame_of).collect()
+
+
+def test_gaps_of_rows_are_filled(spark):
+    cells = spark.createDataFrame([(0, 0, 0, 5), (0, 0, 3, 6), (0, 2, 1, 7), (0, 2, 1, 8), (0, 2, 4, 9), (0, 9, 0, 1), (1, 0, 0, None), (None, 0, 0, 3), (3, 0, 0, 4)], "img bigint, y int, x int, v bigint")
+    frame_of = spark.createDataFrame([(0, 3, 4), (1, 1, 2), (2, 2, 1), (None, 1, 2)], "img bigint, height int, width int")
+    df = rasters.densify(cells, frame_of, 2)
+    got = sorted(((-1 if r.img is None else r.img), r.y, r.x, r.v) for r in df.collect())
+    full = {(i, y, x): [2] for i, h, w in ((-1, 1, 2), (0, 3, 4), (1, 1, 2), (2, 2, 1)) for y in range(h) for x in range(w)}
+    full |= {(0, 0, 0): [5], (0, 0, 3): [6], (0, 2, 1): [7, 8]}  # cells beyond a frame, or of no image, are left out
+    assert got == sorted((*k, v) for k, vs in full.items() for v in vs)
+    assert dict(df.dtypes) == {"img": "bigint", "y": "int", "x": "int", "v": "bigint"}
+
+
+def test_densifying_joins_nothing(spark):
+    cells = spark.createDataFrame([(0, 0, 0, 5)], "img bigint, y int, x int, v bigint")
+    df = rasters.densify(cells, spark.createDataFrame([(0, 2, 3)], "img bigint, height int, width int"))
+    assert "Join" not in df._jdf.queryExecution().optimizedPlan().toString()
