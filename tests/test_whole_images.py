@@ -10,7 +10,9 @@ from rasterchain.exec import rounds
 from rasterchain.exec.task import reduce_images
 from rasterchain.layout import to_pixels, to_strips
 from rasterchain.operators import morphology as M
+from rasterchain.relational import QUERIES
 from rasterchain.sources import files
+from helpers import DATA
 from test_execution import arrays, frame
 
 IDS = (2**60 + 5, 7, -(2**63), 2**63 - 1, -3, 0)
@@ -94,3 +96,9 @@ def test_densifying_joins_nothing(spark):
     cells = spark.createDataFrame([(0, 0, 0, 5)], "img bigint, y int, x int, v bigint")
     df = rasters.densify(cells, spark.createDataFrame([(0, 2, 3)], "img bigint, height int, width int"))
     assert "Join" not in df._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("name", ["raster_event_value"])
+def test_event_rasters_join_nothing(spark, name):
+    plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Window" in plan
