@@ -98,7 +98,7 @@ def test_densifying_joins_nothing(spark):
     assert "Join" not in df._jdf.queryExecution().optimizedPlan().toString()
 
 
-@pytest.mark.parametrize("name", ["raster_event_value"])
+@pytest.mark.parametrize("name", ["raster_event_value", "raster_events"])
 def test_event_rasters_join_nothing(spark, name):
     plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan and "Window" in plan
