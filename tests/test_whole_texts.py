@@ -54,3 +54,23 @@ def test_turn_strips_equal_turns(spark, tmp_path, monkeypatch):
     want = images(rasters.turns(spark, str(tmp_path)))
     assert want[1, 0, 0] == ord("a") and want[2, 0, 12] == 0 and want[None, 1, 1] == 0
     assert images(layout.to_pixels(rasters.turn_strips(spark, str(tmp_path)))) == want
+
+
+def test_ink_lost_by_an_opening_is_counted_where_texts_are(spark, tmp_path):
+    texts = ["x" * 192, "x" * 191 + " ", "a b " * 60, "", None, " \t\n", ("x" * 60 + "    ") * 3, "x"]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    want = {}
+    for i, t in enumerate(texts):
+        a = rasters.codes(t, 64, ink=True) > 0 if t else np.zeros((0, 64), bool)
+        kept = np.zeros_like(a)
+        for y, x in np.ndindex(*a.shape):  # a place is kept if a whole window over it is ink
+            for dy, dx in np.ndindex(3, 3):
+                cy, cx = y + dy - 1, x + dx - 1
+                if 0 <= cy < a.shape[0] and 0 <= cx < 64:
+                    kept[y, x] |= a[max(0, cy - 1) : cy + 2, max(0, cx - 1) : cx + 2].all()
+        if (a & ~kept).any():
+            want[i] = int((a & ~kept).sum())
+    out = workloads.QUERIES["ink_except_opened"](spark, str(tmp_path))
+    assert {r["img"]: r["n"] for r in out.collect()} == want and {2, 7} <= set(want) and 0 not in want
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" not in plan and "Except" not in plan and "Join" not in plan
