@@ -155,3 +155,19 @@ def test_three_axes():
     a = np.random.default_rng(1).integers(0, 50, (4, 5, 6))
     out = K.sep3(a)
     assert out[2, 2, 2] == a[1:4, 1:4, 1:4].min() and out[0, 0, 0] == a[:2, :2, :2].min()
+
+
+@pytest.mark.parametrize("lo", [K.MIN, K.MAX])
+@pytest.mark.parametrize("rows,pixels", [(1024, 1 << 20), (1, 1), (3, 40)])
+def test_sweeps_reach_the_limit(lo, rows, pixels):
+    rng = np.random.default_rng(8)
+    for shape in ((1, 1), (1, 17), (23, 1), (31, 14)):
+        for kind in (np.int64, np.float64, np.uint8):
+            a, m = (rng.integers(0, 20, shape).astype(kind) for _ in range(2))
+            m = np.where(rng.random(shape) < 0.3, m, 0 if lo is K.MAX else 19).astype(kind)
+            want = K.reconstruct(a, m, lo)[0]
+            first = K.geodesic(a, m, lo)
+            assert (K.rebuilt(a, m, lo) == want).all() and (K.settled(first, m, lo, rows=rows, pixels=pixels) == want).all()
+            if shape[0] > 3:  # a strip between settled neighbours
+                part = K.settled(first[2:-1], m[2:-1], lo, want[1], want[-1], rows, pixels)
+                assert (part == want[2:-1]).all()
