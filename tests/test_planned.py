@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from rasterchain import kernels as K
 from rasterchain.operators import morphology as M
 from rasterchain.plans import planner
 from test_execution import arrays, frame
@@ -46,3 +47,14 @@ def test_small_images_stay_whole(spark):
     df = frame(spark, {1: np.arange(12).reshape(3, 4)})
     assert planner.planned(df).strategy == "task"
     assert "applyInArrow" not in M.hfill(df, strategy="auto")._jdf.queryExecution().analyzed().toString()
+
+
+def test_whole_images_need_no_chain_length(spark):
+    serpentine = np.array([[9 if y % 2 == 0 or x == (28 if y % 4 == 1 else 0) else 0 for x in range(29)] for y in range(41)])
+    noisy = np.random.default_rng(5).integers(0, 30, (40, 29))
+    images = {1: noisy, 2: np.pad(serpentine, ((9, 0), (0, 0)), constant_values=9)}
+    got = arrays(M.open_rec(frame(spark, images), 1, strategy="auto"))
+    for i, a in images.items():
+        want, k = K.open_rec(a, 1)
+        assert (got[i] == want).all()
+        assert (K.rebuilt(K.filtered(a, 1), a) == want).all() and (i == 1 or k > 500)  # a long way, in few sweeps
