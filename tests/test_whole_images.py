@@ -102,3 +102,21 @@ def test_densifying_joins_nothing(spark):
 def test_event_rasters_join_nothing(spark, name):
     plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan and "Window" in plan
+
+
+@pytest.mark.parametrize("rows", [1, 3, 5, 4096])
+def test_rows_begun_in_blocks(spark, rows, monkeypatch):
+    monkeypatch.setattr(rasters, "ROWS", rows, raising=False)
+    cells = spark.createDataFrame([(0, 4, 1, 5), (0, 5, 0, 6), (1, 0, 1, 7)], "img bigint, y int, x int, v bigint")
+    frame_of = spark.createDataFrame([(0, 10, 2), (1, 1, 2), (2, 3, 1), (3, 0, 4)], "img bigint, height bigint, width bigint")
+    full = {(i, y, x): 0 for i, h, w in ((0, 10, 2), (1, 1, 2), (2, 3, 1)) for y in range(h) for x in range(w)} | {(0, 4, 1): 5, (0, 5, 0): 6, (1, 0, 1): 7}
+    df = rasters.densify(cells, frame_of)
+    assert sorted(map(tuple, df.collect())) == sorted((*k, v) for k, v in full.items())
+
+
+@pytest.mark.parametrize("name", ["raster_events"])
+def test_no_task_begins_all_rows_of_event_rasters(spark, name):
+    # what explode makes of one row is held at once; the frame is one row, so blocks of its rows are dealt to the tasks first
+    plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().toString()
+    made = plan[plan.index("Union") :]
+    assert made.count("Generate explode") == 2 and "Repartition " in made[: made.rindex("Generate explode")]
