@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from rasterchain import kernels as K
 from rasterchain import rasters
@@ -120,3 +121,9 @@ def test_no_task_begins_all_rows_of_event_rasters(spark, name):
     plan = QUERIES[name](spark, DATA)._jdf.queryExecution().optimizedPlan().toString()
     made = plan[plan.index("Union") :]
     assert made.count("Generate explode") == 2 and "Repartition " in made[: made.rindex("Generate explode")]
+
+
+@pytest.mark.parametrize("name", ["raster_event_value", "raster_events"])
+def test_rows_of_event_rasters_are_filled_in_many_tasks(spark, name):
+    # cells are small beside their pixels: by their bytes, Spark would join the tasks that make all pixels to a few
+    assert QUERIES[name](spark, DATA).select(F.spark_partition_id()).distinct().count() > 2 * spark.sparkContext.defaultParallelism
